@@ -52,18 +52,25 @@ def sources_partitions(spark: SparkSession) -> int:
 
 
 class BoundedCache(dict):
-    """A dict that computes missing values and forgets everything when it holds ``limit`` entries."""
+    """A dict that computes missing values and holds two generations of at most ``limit`` entries in all.
+
+    When the young generation is full it becomes the old one; what is used again moves on, the rest is forgotten.
+    """
 
     def __init__(self, compute, limit: int) -> None:
         super().__init__()
-        self.compute, self.limit = compute, limit
+        self.compute, self.limit, self.old = compute, limit, {}
 
     def __missing__(self, key):
-        value = self[key] = self.compute(key)
+        value = self.old.get(key)
+        if value is None:
+            value = self.compute(key)
+        self[key] = value
         return value
 
     def trim(self) -> None:
-        if len(self) > self.limit:
+        if len(self) > self.limit // 2:
+            self.old = dict(self)
             self.clear()
 
 
