@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 
 #: The characters that separate words in every contract here (space and U+0009 to U+000D).
 BLANKS = " \t\n\x0b\x0c\r"
+BATCH_ROWS = 1000
 
 
 def shared_folder(spark: SparkSession, label: str) -> str:
@@ -27,10 +28,22 @@ def written(df: DataFrame, label: str) -> DataFrame:
     """``df`` as a table in the shared folder, read again: it survives lost executors and is computed once."""
     spark = df.sparkSession
     path = shared_folder(spark, label)
-    df.write.parquet(path)
+    df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def texts(df: DataFrame, *columns: Column) -> DataFrame:
+    """The columns of ``df`` on their way to Python, in batches of few rows: texts may be long.
+
+    ``spark.sql.execution.arrow.maxRecordsPerBatch`` may change in a running session; it bounds what a batch holds in
+    the executor's and in the worker's memory.
+    """
+    spark = df.sparkSession
+    if not 0 < int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) <= BATCH_ROWS:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
+    return df.select(*columns) if columns else df
+
+
 def text_or_empty(name: str) -> Column:
     return F.coalesce(F.col(name).cast("string"), F.lit(""))
 
@@ -47,10 +60,6 @@ def fresh(df: DataFrame, *names: str) -> list[str]:
     return out
 
 
-def sources_partitions(spark: SparkSession) -> int:
-    return max(1, int(spark.conf.get("spark.sql.shuffle.partitions", "200")))
-
-
 class BoundedCache(dict):
     """A dict that computes missing values and holds two generations of at most ``limit`` entries in all.
 

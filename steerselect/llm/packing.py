@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import BoundedCache, slices, text_or_empty, written
+from .common import BoundedCache, slices, text_or_empty, texts, written
 
 WINDOW = 2048
 END_ID = 1
@@ -80,7 +80,7 @@ def pieces(docs: DataFrame, tokenizer_file: str, id_col: str = "doc_id", text_co
             yield pa.RecordBatch.from_arrays([own, *(pa.array(x, pa.int64()) for x in (starts, lengths, crcs, totals))], names=["id", "start", "length", "ids_crc32", "doc_tokens"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(F.col(id_col).alias("id"), text_or_empty(text_col).alias("text")).mapInArrow(run, f"id {kind}, start long, length long, ids_crc32 long, doc_tokens long")
+    return texts(docs, F.col(id_col).alias("id"), text_or_empty(text_col).alias("text")).mapInArrow(run, f"id {kind}, start long, length long, ids_crc32 long, doc_tokens long")
 
 
 class SumOfSquares:

@@ -17,7 +17,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import fresh, slices, text_or_empty, written
+from .common import fresh, slices, text_or_empty, texts, written
 from .components import components
 
 HOT_BUCKET = 16384
@@ -58,7 +58,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             yield pa.RecordBatch.from_arrays([b.column("id"), pa.array(fps)], names=["id", "fp"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(F.col(id_col).alias("id"), text_or_empty(text_col).alias("text")).mapInArrow(run, f"id {kind}, fp long")
+    return texts(docs, F.col(id_col).alias("id"), text_or_empty(text_col).alias("text")).mapInArrow(run, f"id {kind}, fp long")
 
 
 def block_keys(fp: Column, radius: int) -> Column:
@@ -278,7 +278,7 @@ def shingle_sets(docs: DataFrame, id_col: str, text_col: str, size: int) -> Data
             yield pa.RecordBatch.from_arrays([b.column("id"), pa.array(sets, pa.list_(pa.int64()))], names=["id", "set"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(F.col(id_col).alias("id"), text_or_empty(text_col).alias("text")).mapInArrow(run, f"id {kind}, set array<long>")
+    return texts(docs, F.col(id_col).alias("id"), text_or_empty(text_col).alias("text")).mapInArrow(run, f"id {kind}, set array<long>")
 
 
 def verified_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = 11, size: int = 5, similarity: float = 0.8) -> DataFrame:

@@ -22,13 +22,13 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BoundedCache, slices, text_or_empty, written
+from .common import BoundedCache, slices, text_or_empty, texts, written
 
 SIZE, MINI = 35, 4
-HOT_SHARE, HOT_LEAST = 1e-4, 4000
+HOT_SHARE, HOT_LEAST = 1e-4, 8000
 FILTER_BYTES = 32 << 20
 
-_hashes = BoundedCache(lambda w: xxhash.xxh64_intdigest(w, 7), 400_000)
+_hashes = BoundedCache(lambda w: xxhash.xxh64_intdigest(w, 7), 200_000)
 
 
 def words_of(text: str) -> list[bytes]:
@@ -85,7 +85,7 @@ class Bloom:
 
 
 def _bloom(repeated: DataFrame, count: int) -> Bloom | None:
-    """The filter of a table of minimisers, built from one bitmap for each part of it; None beyond FILTER_BYTES."""
+    """The filter of a table of hashes ``m``, built from one bitmap for each part of it; None beyond FILTER_BYTES."""
     size = max(64, count * 10 // 8)
     if size > FILTER_BYTES:
         return None
@@ -112,7 +112,7 @@ def minimisers(docs: DataFrame, size: int, mini: int) -> DataFrame:
             _hashes.trim()
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([np.zeros(0, np.uint64), *got]).view(np.int64))], names=["m"])
 
-    return docs.select("text").mapInArrow(run, "m long")
+    return texts(docs, "text").mapInArrow(run, "m long")
 
 
 def packed_runs(docs: DataFrame, repeated: Bloom | None, hot: np.ndarray, size: int, mini: int) -> DataFrame:
@@ -142,7 +142,7 @@ def packed_runs(docs: DataFrame, repeated: Bloom | None, hot: np.ndarray, size:
             types = (pa.binary(), pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.binary())
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types)], names=["key", "at", "n", "m", "hot", "words"])
 
-    return docs.select("key", "text").mapInArrow(run, "key binary, at long, n long, m long, hot boolean, words binary")
+    return texts(docs, "key", "text").mapInArrow(run, "key binary, at long, n long, m long, hot boolean, words binary")
 
 
 def repeats_in_buckets(runs: DataFrame, size: int) -> DataFrame:
@@ -232,7 +232,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     found = repeats_in_buckets(runs, size)
     if len(hot):
         found = found.union(repeats_of_hot(runs, size))
-    spans = found.distinct().groupBy("key").agg(F.collect_list(F.struct("first", "last")).alias("spans"))
+    spans = written(found.groupBy("key").agg(F.collect_list(F.struct("first", "last")).alias("spans")), "spans")
 
     def cut(batches):
         for b in slices(batches):
@@ -251,8 +251,26 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
             yield pa.RecordBatch.from_arrays([b.column("id"), pa.array(n_words, pa.int64()), pa.array(removed, pa.int64()), pa.array(kept, pa.string())], names=["id", "n_words", "n_removed", "kept"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    met = base.join(spans, "key", "left").select("id", "text", "spans")
-    return met.mapInArrow(cut, f"id {kind}, n_words long, n_removed long, kept string").withColumnRenamed("id", id_col)
+    # only rows that may have spans are shuffled to meet them; the filter is as bounded as the other
+    may = _bloom(spans.select(F.xxhash64("key").alias("m")), spans.count())
+    rows = base.select("id", "text", "key", F.xxhash64("key").alias("m"))
+    schema = f"id {kind}, n_words long, n_removed long, kept string"
+
+    def chosen(side: bool):
+        def run(batches):
+            for b in batches:
+                yield b.filter(pa.array(may.holds(b.column("m").to_numpy().view(np.uint64)) == side))
+
+        return run
+
+    if may is None:
+        met = rows.join(spans, "key", "left")
+    else:
+        kinds = f"id {kind}, text string, key binary, m long"
+        met = texts(rows).mapInArrow(chosen(True), kinds).join(spans, "key", "left")
+        plain = texts(rows).mapInArrow(chosen(False), kinds).select("id", "text", F.lit(None).cast(spans.schema["spans"].dataType).alias("spans"))
+        met = met.select("id", "text", "spans").union(plain)
+    return texts(met, "id", "text", "spans").mapInArrow(cut, schema).withColumnRenamed("id", id_col)
 
 
 def digest(result: DataFrame) -> DataFrame:

@@ -21,7 +21,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import shared_folder, slices, text_or_empty, written
+from .common import shared_folder, slices, text_or_empty, texts, written
 
 DATE = "2024-01-01T00:00:00Z"
 LEAST_REVISIT = 1000
@@ -111,7 +111,7 @@ def write_archives(pages: DataFrame, folder: str, date: str = DATE, id_col: str
             n, h, s = zip(*done)
             yield pa.RecordBatch.from_arrays([pa.array(n), pa.array(h, pa.int64()), pa.array(s, pa.int64())], names=["path", "captures", "bytes"])
 
-    return written(planned.mapInArrow(run, "path string, captures long, bytes long"), "manifest")
+    return written(texts(planned).mapInArrow(run, "path string, captures long, bytes long"), "manifest")
 
 
 def members(stream, block: int = 1 << 20) -> Iterator[bytes]:
