@@ -4,13 +4,38 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from steerselect.llm import exact_dedup, simhash
+from steerselect.llm import exact_dedup, packing, pii, simhash, toxicity
 from steerselect.llm.common import written
+from steerselect.llm.queries import vocabulary
 
-STAGES = [
-    ("exact_dedup", lambda spark, docs, sf_dir: exact_dedup.drop_copies(docs)),
-    ("near_dedup", lambda spark, docs, sf_dir: simhash.keep_one(docs)),
-]
+
+def clean(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the toxicity classifier, trained outside its held-out fifth, does not reject."""
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
+    return toxicity.keep_clean(docs, toxicity.trained(docs, labels))
+
+
+def distinct(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of equal texts."""
+    return exact_dedup.drop_copies(docs)
+
+
+def different(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near copies: five-word shingles, similarity 0.8 or more."""
+    return simhash.keep_one(docs)
+
+
+def private(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All documents, with surrogates for personal data and secrets."""
+    return pii.replace_entities(docs)
+
+
+def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The pieces of training sequences that the documents give."""
+    return packing.pack(docs, vocabulary("word_bpe_49k.json"))
+
+
+STAGES = [("toxicity", clean), ("exact_dedup", distinct), ("near_dedup", different), ("pii", private), ("packing", packed)]
 
 #: A trained classifier and tokenizer stand in the chain, which SQL can't express; tests use brute force.
 ORACLE_SQL = None

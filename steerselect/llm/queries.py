@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import exact_dedup, packing, piece_codec, sharding, simhash, superkmer
+from . import exact_dedup, packing, pii, piece_codec, sharding, simhash, superkmer, topk_search, toxicity, warc
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -28,6 +29,26 @@ def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return superkmer.digest(superkmer.remove_repeats(_table(spark, sf_dir, "documents")))
 
 
+def op3_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return topk_search.exact_top_k(_table(spark, sf_dir, "embeddings"), F.pmod(F.col("vec_id"), F.lit(100)) == 0)
+
+
+def op4_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, the text with surrogates, and what was replaced in it."""
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
+    out = pii.replace_entities(docs, log_col="entities")
+    return out.withColumn("n_entities", F.size("entities").cast("long"))
+
+
+def op5_warc_transactions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.round_trip(_table(spark, sf_dir, "pages"))
+
+
+def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents")
+    return toxicity.scores(docs, toxicity.trained(docs, _table(spark, sf_dir, "labels")))
+
+
 def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(_table(spark, sf_dir, "documents"), vocabulary("word_bpe_49k.json"))
 
@@ -46,7 +67,19 @@ def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_simhash_near_dedup, op2_substring_dedup, op7_packing, op8_sentencepiece, op9_exact_dedup, op10_sharding)}
+    every = (
+        op1_simhash_near_dedup,
+        op2_substring_dedup,
+        op3_exact_topk,
+        op4_pii_surrogates,
+        op5_warc_transactions,
+        op6_toxicity,
+        op7_packing,
+        op8_sentencepiece,
+        op9_exact_dedup,
+        op10_sharding,
+    )
+    return {f.__name__: f for f in every}
 
 
 def oracle_sql() -> dict[str, str]:
