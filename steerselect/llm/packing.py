@@ -24,6 +24,9 @@ END_ID = 1
 GROUP = 65536
 
 
+BEYOND = re.compile("[\x1c-\x1f]")
+
+
 class WordEncoder:
     """Ids as little-endian 32-bit words, by way of a cache of blank-separated chunks.
 
@@ -32,24 +35,44 @@ class WordEncoder:
     at other white space only.
     """
 
-    def __init__(self, tokenizer_file: str, limit: int = 600_000) -> None:
+    def __init__(self, tokenizer_file: str, limit: int = 1_200_000) -> None:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(tokenizer_file)
-        self.cache = BoundedCache(lambda w: np.array(self.tokenizer.encode(w, add_special_tokens=False).ids, "<u4").tobytes(), limit)
+        self.cache = BoundedCache(lambda w: self.encoded([w])[0], limit)
 
-    def encode(self, text: str) -> bytes:
-        words = text.split() if text.isprintable() or not re.search("[\x1c-\x1f]", text) else re.findall(r"(?:[^\s]|[\x1c-\x1f])+", text)
+    def encoded(self, words: list[str]) -> list[bytes]:
+        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
+
+    @staticmethod
+    def parts(word: str) -> list[str]:
+        """Pieces of a chunk that the tokenizer surely encodes one by one, in lower case where that is all ASCII."""
+        if word.isascii() and "<|" not in word:
+            word = word.lower()
+        return [word[:-1], word[-1]] if len(word) > 1 and word[-1] in ".,;:!?" and word[:-1].isalpha() else [word]
+
+    def learn(self, words: set[str]) -> None:
+        """Puts all words into the cache, with one call for what is new."""
         cache = self.cache
-        unknown = [w for w in dict.fromkeys(words) if w not in cache and w not in cache.old]
-        for i in range(0, len(unknown), 4096):
-            part = unknown[i : i + 4096]
-            for w, e in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False)):
-                cache[w] = np.array(e.ids, "<u4").tobytes()
-        out = b"".join(map(cache.__getitem__, words))
-        cache.trim()
+        new = {w: self.parts(w) for w in words.difference(cache, cache.old)}
+        base = list({p for ps in new.values() for p in ps}.difference(cache, cache.old))
+        for i in range(0, len(base), 8192):
+            cache.update(zip(base[i : i + 8192], self.encoded(base[i : i + 8192])))
+        for w, ps in new.items():
+            if len(ps) > 1 or ps[0] != w:
+                cache[w] = b"".join(map(cache.__getitem__, ps))
+
+    def encode_all(self, texts: list[str]) -> list[bytes]:
+        """Ids of each text; what a call must know stays cached until it ends."""
+        split = [t.split() if not BEYOND.search(t) else re.findall(r"(?:[^\s]|[\x1c-\x1f])+", t) for t in texts]
+        self.learn(set().union(*split))
+        out = [b"".join(map(self.cache.__getitem__, words)) for words in split]
+        self.cache.trim()
         return out
 
+    def encode(self, text: str) -> bytes:
+        return self.encode_all([text])[0]
+
 
 @functools.lru_cache(2)
 def encoder(tokenizer_file: str) -> WordEncoder:
@@ -64,10 +87,10 @@ def pieces(docs: DataFrame, tokenizer_file: str, id_col: str = "doc_id", text_co
 
     def run(batches):
         enc = encoder(tokenizer_file)
-        for b in slices(batches):
+        for b in slices(batches, most_bytes=2 << 20):
             ids, starts, lengths, crcs, totals = [], [], [], [], []
-            for k, t in enumerate(b.column("text")):
-                data = enc.encode(t.as_py()) + END_ID.to_bytes(4, "little")
+            for k, data in enumerate(enc.encode_all(b.column("text").to_pylist())):
+                data += END_ID.to_bytes(4, "little")
                 n = len(data) // 4
                 for s in range(0, n, window):
                     part = data[4 * s : 4 * (s + window)]
