@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+from .plans import core_queries
+from .plans.registry import ORACLES, QUERIES
+
 
 def queries() -> dict:
-    return {}
+    return dict(QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(ORACLES)
