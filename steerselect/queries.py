@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from .plans import core_queries
+from .plans import core_queries, proxy_queries  # noqa: F401
 from .plans.registry import ORACLES, QUERIES
 
 
