@@ -9,7 +9,9 @@ from __future__ import annotations
 
 import functools
 import re
+import sys
 import zlib
+from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -24,6 +26,7 @@ END_ID = 1
 GROUP = 65536
 
 
+BIG = sys.byteorder == "big" or array("I").itemsize != 4
 BEYOND = re.compile("[\x1c-\x1f]")
 
 
@@ -42,7 +45,7 @@ class WordEncoder:
         self.cache = BoundedCache(lambda w: self.encoded([w])[0], limit)
 
     def encoded(self, words: list[str]) -> list[bytes]:
-        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
+        return [np.array(e.ids, "<u4").tobytes() if BIG else array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
 
     @staticmethod
     def parts(word: str) -> list[str]:
@@ -54,7 +57,7 @@ class WordEncoder:
     def learn(self, words: set[str]) -> None:
         """Puts all words into the cache, with one call for what is new."""
         cache = self.cache
-        new = {w: self.parts(w) for w in words.difference(cache, cache.old)}
+        new = {w: self.parts(w) for w in words.difference(cache.old)}
         base = list({p for ps in new.values() for p in ps}.difference(cache, cache.old))
         for i in range(0, len(base), 8192):
             cache.update(zip(base[i : i + 8192], self.encoded(base[i : i + 8192])))
@@ -64,9 +67,19 @@ class WordEncoder:
 
     def encode_all(self, texts: list[str]) -> list[bytes]:
         """Ids of each text; what a call must know stays cached until it ends."""
-        split = [t.split() if not BEYOND.search(t) else re.findall(r"(?:[^\s]|[\x1c-\x1f])+", t) for t in texts]
-        self.learn(set().union(*split))
-        out = [b"".join(map(self.cache.__getitem__, words)) for words in split]
+        get, out, late, missing = self.cache.get, [], [], set()
+        for n, t in enumerate(texts):
+            words = t.split() if not BEYOND.search(t) else re.findall(r"(?:[^\s]|[\x1c-\x1f])+", t)
+            ids = list(map(get, words))  # one look-up for each word that is known
+            if None in ids:
+                late.append((n, words, ids))
+                missing.update(w for w, i in zip(words, ids) if i is None)
+                out.append(b"")
+            else:
+                out.append(b"".join(ids))
+        self.learn(missing)
+        for n, words, ids in late:
+            out[n] = b"".join([self.cache[w] if i is None else i for w, i in zip(words, ids)])
         self.cache.trim()
         return out
 
