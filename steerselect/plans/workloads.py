@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from ..functions import tokens as T
 from ..operators import baselines as B
 from ..operators import corpus, lm_count, loop, measures, pick
+from ..sources.tables import stored
 from ..streaming import runs
 from .context import ALPHA, EPS, RATIO, SCALE, SEED, TAU, V, Tables
 from .core_queries import _picked
@@ -83,7 +84,7 @@ def selections(t: Tables, names: list[str]) -> DataFrame:
             return pool_tokens(t).select("doc_id")
         raise ValueError(name)
 
-    return union([make(n).select(F.lit(n).alias("method"), "doc_id") for n in names])
+    return stored(union([make(n).select(F.lit(n).alias("method"), "doc_id") for n in names]), "selections")
 
 
 def models(t: Tables, chosen: DataFrame, extra: DataFrame | None = None) -> DataFrame:
@@ -96,7 +97,7 @@ def models(t: Tables, chosen: DataFrame, extra: DataFrame | None = None) -> Data
     rows = counts.groupBy("method", "x").agg(F.sum("n").alias("nx"))
     p = (F.coalesce("n", F.lit(0)) + ALPHA) / (F.coalesce("nx", F.lit(0)) + ALPHA * V)
     grid = methods.crossJoin(lm_count.grid(t.docs, V))
-    return grid.join(counts, ["method", "x", "y"], "left").join(rows, ["method", "x"], "left").select("method", "x", "y", F.log(p).alias("logp"))
+    return stored(grid.join(counts, ["method", "x", "y"], "left").join(rows, ["method", "x"], "left").select("method", "x", "y", F.log(p).alias("logp")), "models")
 
 
 def val_nll(t: Tables, lms: DataFrame, by: DataFrame | None = None) -> DataFrame:
@@ -119,7 +120,7 @@ def accuracy(lms: DataFrame, rows: DataFrame) -> DataFrame:
 def report(t: Tables, block: str, chosen: DataFrame, tasks: DataFrame | None = None) -> Rows:
     lms = models(t, chosen)
     used = chosen.join(t.tok.select("doc_id", "n_words"), "doc_id").groupBy("method").agg(F.sum("n_words").alias("tokens"))
-    acc = accuracy(lms, measures.tasks(t.table("benchmark"), V) if tasks is None else tasks)
+    acc = stored(accuracy(lms, measures.tasks(t.table("benchmark"), V) if tasks is None else tasks), "accuracy")
     mean = acc.groupBy("method").agg(F.avg("acc").alias("acc"))
     m = F.col("method")
     return union([tidy(used, block, m, "tokens", "all", "tokens"), tidy(val_nll(t, lms), block, m, "nll", F.col("key"), "nll"), tidy(acc, block, m, "accuracy", F.col("task"), "acc"), tidy(mean, block, m, "accuracy", "average", "acc")])
@@ -193,7 +194,7 @@ def w06(t: Tables) -> Rows:
 def w07(t: Tables) -> Rows:
     """Greedy, soft, and greedy without the penalty: loss, and the entropy of sources among the picks."""
     names = {"greedy": _picked("greedy"), "soft": _picked("soft"), "greedy, no penalty": _picked("greedy", False)}
-    chosen = union([f(t).select(F.lit(n).alias("method"), "doc_id") for n, f in names.items()])
+    chosen = stored(union([f(t).select(F.lit(n).alias("method"), "doc_id") for n, f in names.items()]), "picks")
     counts = chosen.join(t.docs.select("doc_id", "source"), "doc_id").groupBy("method", "source").agg(F.count(F.lit(1)).alias("n"))
     return tidy(val_nll(t, models(t, chosen)), "web", F.col("method"), "nll", "val", "nll").unionByName(tidy(measures.entropy(counts, ["method"]), "web", F.col("method"), "source entropy", "all", "entropy"))
 
@@ -212,13 +213,13 @@ def w08(t: Tables) -> Rows:
     raw = T.pairs(T.tokenized(t.table("benchmark"), V, "item_id"), "item_id").withColumnRenamed("item_id", "doc_id")
     proxies = {"standard": t.prefix_pairs.join(t.split.filter("split = 'val'"), "doc_id").select("doc_id", "x", "y"), "matched": t.prefix_pairs.join(matched, "doc_id"), "raw": raw}
     parts = [soft(t, aligned_with(t, p), tau=0.05).join(matched, "doc_id", "left_anti").select(F.lit(n).alias("method"), "doc_id") for n, p in proxies.items()]
-    return report(t, "proxy", union(parts))
+    return report(t, "proxy", stored(union(parts), "selections"))
 
 
 @query("w09_sensitivity")
 def w09(t: Tables) -> Rows:
     """Buffer sizes and temperatures around the adopted ones."""
-    scores, parts = t.alignment.select("doc_id", "score"), []
+    scores, parts = stored(t.alignment.select("doc_id", "score"), "scores"), []
     for n in (16, 32, 64):
         steps = corpus.form_buffers(t.split.filter("split = 'train'"), n, SEED).select("step", "doc_id")
         for tau in (0.8, 0.9, 1.0):

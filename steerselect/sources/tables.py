@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import tempfile
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -32,6 +35,15 @@ def read_text_formats(spark: SparkSession, path: str, kind: str, schema: str) ->
     return reader.json(path) if kind == "json" else reader.option("header", True).csv(path)
 
 
+def stored(df: DataFrame, label: str) -> DataFrame:
+    """``df`` written to the folder of ``spark.checkpoint.dir`` and read again: computed once, safe from lost executors."""
+    spark = df.sparkSession
+    base = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}/steerselect-stored"
+    path = f"{base.rstrip('/')}/{label}-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
 def save(df: DataFrame, path: str, by: list[str] | None = None, mode: str = "errorifexists") -> None:
     """Parquet, in one folder per value of ``by``: a selection by step, split or grade is then read alone."""
     writer = df.write.mode(mode)
