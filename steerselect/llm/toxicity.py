@@ -179,7 +179,8 @@ def trained(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col
     fold = F.pmod(F.crc32(F.col(id_col).cast("string").cast("binary")), F.lit(5))
     known = labels.filter(F.col(id_col).isNotNull() & F.col(label_col).isin(0, 1) & (fold != 0)).groupBy(id_col).agg(F.max(label_col).alias("y"))
     known = known.orderBy(F.xxhash64(id_col), id_col).limit(most)
-    rows = known.join(docs.select(F.col(id_col), text_or_empty(text_col).alias("text")), id_col).select(F.col(id_col).alias("id"), "y", "text")
+    # at most ``most`` rows: they travel to the texts, not the texts to them
+    rows = docs.select(F.col(id_col), text_or_empty(text_col).alias("text")).join(F.broadcast(known), id_col).select(F.col(id_col).alias("id"), "y", "text")
 
     def run(batches):
         for b in slices(batches):
