@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from .common import BoundedCache, slices, text_or_empty, texts
 
 #: At most so many labelled rows are used to fit, those of the least hash; the bound is part of the method.
-TRAINING_ROWS = 16_000
+TRAINING_ROWS = 8_000
 TABLE = 1 << 15
 ROWS, DIMS, WIDTHS, FILTERS = 4, 8, (1, 2, 3), 4
 WORD = re.compile(r"\w+")
@@ -188,15 +188,18 @@ def trained(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col
             yield pa.RecordBatch.from_arrays([b.column("id"), b.column("y"), pa.array([s.tobytes() for s, _ in out], pa.binary()), pa.array([g for _, g in out], pa.int32())], names=["id", "y", "slots", "language"])
 
     kinds = {f.name: f.dataType.simpleString() for f in rows.schema}
-    got = rows.mapInArrow(run, f"id {kinds['id']}, y {kinds['y']}, slots binary, language int").toArrow().to_pylist()
-    got.sort(key=lambda r: (r["id"], r["slots"]))
-    texts = [np.frombuffer(r["slots"], np.int32).reshape(-1, ROWS) for r in got]
-    y, language = np.array([r["y"] for r in got], np.float32), np.array([r["language"] for r in got])
+    table = rows.mapInArrow(run, f"id {kinds['id']}, y {kinds['y']}, slots binary, language int").toArrow().combine_chunks()
+    ids = table.column("id").to_pylist()
+    # the texts stay in the buffers that they came in
+    texts = [np.frombuffer(s.as_buffer(), np.int32).reshape(-1, ROWS) if s.as_buffer().size else np.zeros((0, ROWS), np.int32) for c in table.column("slots").chunks for s in c]
+    order = sorted(range(len(ids)), key=lambda i: (ids[i], len(texts[i]), texts[i][:50].tobytes()))
+    ids, texts = [ids[i] for i in order], [texts[i] for i in order]
+    y, language = (np.array(table.column(c).to_pylist(), kind)[order] if order else np.zeros(0, kind) for c, kind in (("y", np.float32), ("language", int)))
     model = TextCnn()
     if not len(y) or not y.sum() or y.all():
         model.bias, model.out = np.float32(-5.0), np.zeros_like(model.out)
         return model
-    fits = np.array([zlib.crc32(f"fit|{r['id']}".encode()) % 4 != 0 for r in got])
+    fits = np.array([zlib.crc32(f"fit|{i}".encode()) % 4 != 0 for i in ids])
     if not y[fits].sum() or not y[~fits].sum():
         fits = np.ones(len(y), bool)
     mine = [t for t, f in zip(texts, fits) if f]
