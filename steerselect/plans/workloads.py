@@ -161,7 +161,7 @@ def w04(t: Tables) -> Rows:
     last = steps.agg((F.max("step") + 1).alias("steps"))
     stage = steps.crossJoin(F.broadcast(last)).select("doc_id", F.floor(F.col("step") * 5 / F.col("steps")).cast("int").alias("c"))
     chosen = selections(t, ["random", "high-loss", "geometry"]).join(stage, "doc_id")
-    grown = chosen.select(F.concat_ws("|", "method", F.explode(F.sequence("c", F.lit(4)))).alias("method"), "doc_id")
+    grown = chosen.select("method", "doc_id", F.explode(F.sequence("c", F.lit(4))).alias("at")).select(F.concat_ws("|", "method", "at").alias("method"), "doc_id")
     nll = val_nll(t, models(t, grown))
     parts = F.split("method", r"\|")
     return tidy(nll.withColumn("m", parts[0]).withColumn("at", parts[1]), "web", F.col("m"), "nll", F.col("at"), "nll")
