@@ -8,7 +8,8 @@ occurrence, not even in periodic text.
 A first pass counts minimisers alone (eight bytes each).  Where one occurs once its windows repeat nowhere, and a
 Bloom filter keeps them from being shipped at all; it is broadcast only up to ``FILTER_BYTES``, else all are shipped.
 Minimisers above a share of all super-k-mers are hot; there are at most ``1 / HOT_SHARE`` of those, whatever the
-corpus.  Their windows are dealt out one by one by their own words, with map-side combined counts.
+corpus.  Their super-k-mers are first counted by their whole words, with map-side combined counts; only distinct ones
+are cut into windows, which are dealt out by their own words.
 """
 
 from __future__ import annotations
@@ -25,7 +26,7 @@ from pyspark.sql import functions as F
 from .common import BoundedCache, slices, text_or_empty, texts, written
 
 SIZE, MINI = 35, 4
-HOT_SHARE, HOT_LEAST = 1e-4, 8000
+HOT_SHARE, HOT_LEAST = 1e-6, 8000
 FILTER_BYTES = 32 << 20
 
 _hashes = BoundedCache(lambda w: xxhash.xxh64_intdigest(w, 7), 200_000)
@@ -116,7 +117,7 @@ def minimisers(docs: DataFrame, size: int, mini: int) -> DataFrame:
 
 
 def packed_runs(docs: DataFrame, repeated: Bloom | None, hot: np.ndarray, size: int, mini: int) -> DataFrame:
-    """(key, at, n, m, hot, words): the super-k-mers whose minimiser may repeat; hot ones as single windows."""
+    """(key, at, n, m, hot, words): the super-k-mers whose minimiser may repeat; ``hot`` is in ascending order."""
 
     def run(batches):
         for b in slices(batches):
@@ -129,15 +130,14 @@ def packed_runs(docs: DataFrame, repeated: Bloom | None, hot: np.ndarray, size:
                 if repeated is not None:
                     on = repeated.holds(low)
                     starts, lengths, low = starts[on], lengths[on], low[on]
-                warm = np.isin(low, hot)
+                warm = hot[np.minimum(np.searchsorted(hot, low), len(hot) - 1)] == low if len(hot) else np.zeros(len(low), bool)
                 joined = b" ".join(words)
                 ends = np.cumsum([len(w) + 1 for w in words]) - 1
                 begins = np.concatenate(([0], ends[:-1] + 1)).tolist()
                 ends = ends.tolist()
-                for s, k, m, w in zip(starts.tolist(), lengths.tolist(), low.view(np.int64).tolist(), warm.tolist()):
-                    for at, n in ((x, 1) for x in range(s, s + k)) if w else ((s, k),):
-                        for c, v in zip(cols, (key, at, n, m, w, joined[begins[at] : ends[at + n + size - 2]])):
-                            c.append(v)
+                for at, n, m, w in zip(starts.tolist(), lengths.tolist(), low.view(np.int64).tolist(), warm.tolist()):
+                    for c, v in zip(cols, (key, at, n, m, w, joined[begins[at] : ends[at + n + size - 2]])):
+                        c.append(v)
             _hashes.trim()
             types = (pa.binary(), pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.binary())
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types)], names=["key", "at", "n", "m", "hot", "words"])
@@ -159,11 +159,7 @@ def repeats_in_buckets(runs: DataFrame, size: int) -> DataFrame:
             return
         cut = {}
         for words, holders in by_words.items():
-            w = words.split(b" ")
-            ends = np.cumsum([len(x) + 1 for x in w]) - 1
-            begins = [0, *(ends[:-1] + 1).tolist()]
-            ends = ends.tolist()
-            cut[words] = windows = [words[begins[i] : ends[i + size - 1]] for i in range(len(w) - size + 1)]
+            cut[words] = windows = windows_in(words, size)
             for x in windows:
                 seen[x] = x in seen or len(holders) > 1
         for words, holders in by_words.items():
@@ -207,11 +203,44 @@ def repeats_in_buckets(runs: DataFrame, size: int) -> DataFrame:
     return spread.mapInArrow(run, "key binary, first long, last long")
 
 
+def windows_in(words: bytes, size: int) -> list[bytes]:
+    """The windows of a packed super-k-mer, in order."""
+    w = words.split(b" ")
+    ends = np.cumsum([len(x) + 1 for x in w]) - 1
+    begins = [0, *(ends[:-1] + 1).tolist()]
+    ends = ends.tolist()
+    return [words[begins[i] : ends[i + size - 1]] for i in range(len(w) - size + 1)]
+
+
 def repeats_of_hot(runs: DataFrame, size: int) -> DataFrame:
-    """The same for windows of hot minimisers, by joins on the windows' words."""
-    hot = runs.filter("hot").select("key", "at", "words")
-    twice = hot.groupBy("words").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("words")
-    return hot.join(twice, "words").select("key", F.col("at").alias("first"), (F.col("at") + size - 1).alias("last"))
+    """The same for super-k-mers of hot minimisers, however often one occurs.
+
+    Where the whole words of one occur twice, so do all its windows.  The others are compared window by window with all
+    distinct super-k-mers; a super-k-mer has at most ``size`` windows, so lists of them are short.
+    """
+    run = F.unhex(F.md5("words"))
+    hot = runs.filter("hot").select("key", "at", "n", "words")
+    lines = written(hot.groupBy("words").agg(F.first("n").alias("n"), F.count(F.lit(1)).alias("times")).withColumn("run", run), "hot-runs")
+
+    def cut(batches):
+        for b in slices(batches, "words", 1 << 20):
+            runs_, ats, out, times = [], [], [], []
+            for r, words, c in zip(b.column("run").to_pylist(), b.column("words").to_pylist(), b.column("times").to_pylist()):
+                for at, w in enumerate(windows_in(words, size)):
+                    runs_.append(r)
+                    ats.append(at)
+                    out.append(w)
+                    times.append(c)
+            yield pa.RecordBatch.from_arrays([pa.array(runs_, pa.binary()), pa.array(ats, pa.int64()), pa.array(out, pa.binary()), pa.array(times, pa.int64())], names=["run", "at", "window", "times"])
+
+    windows = texts(lines, "run", "words", "times").mapInArrow(cut, "run binary, at long, window binary, times long")
+    twice = windows.groupBy("window").agg(F.sum("times").alias("n")).filter("n > 1").select("window")
+    single = windows.filter("times = 1").join(twice, "window").groupBy("run").agg(F.collect_list(F.struct(F.col("at").alias("first"), F.col("at").alias("last"))).alias("parts"))
+    whole = lines.filter("times > 1").select("run", F.array(F.struct(F.lit(0).cast("long").alias("first"), (F.col("n") - 1).alias("last"))).alias("parts"))
+    # each super-k-mer meets one row; a frequent one's partition is split by the adaptive skew join
+    met = hot.select("key", "at", run.alias("run")).join(whole.union(single), "run")
+    part = F.explode("parts").alias("part")
+    return met.select("key", "at", part).select("key", (F.col("at") + F.col("part.first")).alias("first"), (F.col("at") + F.col("part.last") + size - 1).alias("last"))
 
 
 def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SIZE, mini: int = MINI, hot_share: float = HOT_SHARE, hot_least: int = HOT_LEAST) -> DataFrame:
@@ -227,7 +256,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     counts = written(minimisers(base, size, mini).groupBy("m").agg(F.count(F.lit(1)).alias("n")).filter("n > 1"), "minimisers")
     distinct, total = counts.agg(F.count(F.lit(1)), F.coalesce(F.sum("n"), F.lit(0))).first()
     limit = max(hot_least, int(total * hot_share))
-    hot = np.array([r["m"] for r in counts.filter(F.col("n") > limit).select("m").collect()], np.int64).view(np.uint64)  # 1 / hot_share at most
+    hot = np.sort(counts.filter(F.col("n") > limit).select("m").toArrow().column("m").to_numpy().astype(np.int64).view(np.uint64))  # 1 / hot_share at most
     runs = written(packed_runs(base, _bloom(counts.select("m"), distinct), hot, size, mini), "super-kmers")
     found = repeats_in_buckets(runs, size)
     if len(hot):
