@@ -28,6 +28,8 @@ from .common import BoundedCache, slices, text_or_empty, texts, written
 SIZE, MINI = 35, 4
 HOT_SHARE, HOT_LEAST = 1e-6, 8000
 FILTER_BYTES = 32 << 20
+#: Texts that a worker cuts at once; their super-k-mers take several times as much.
+STEP_BYTES = 2 << 20
 
 _hashes = BoundedCache(lambda w: xxhash.xxh64_intdigest(w, 7), 200_000)
 
@@ -108,7 +110,7 @@ def _bloom(repeated: DataFrame, count: int) -> Bloom | None:
 
 def minimisers(docs: DataFrame, size: int, mini: int) -> DataFrame:
     def run(batches):
-        for b in slices(batches):
+        for b in slices(batches, most_bytes=STEP_BYTES):
             got = [super_kmers(words_of(t.as_py()), size, mini)[2] for t in b.column("text")]
             _hashes.trim()
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([np.zeros(0, np.uint64), *got]).view(np.int64))], names=["m"])
@@ -120,7 +122,7 @@ def packed_runs(docs: DataFrame, repeated: Bloom | None, hot: np.ndarray, size:
     """(key, at, n, m, hot, words): the super-k-mers whose minimiser may repeat; ``hot`` is in ascending order."""
 
     def run(batches):
-        for b in slices(batches):
+        for b in slices(batches, most_bytes=STEP_BYTES):
             cols: list[list] = [[], [], [], [], [], []]
             for key, t in zip(b.column("key").to_pylist(), b.column("text")):
                 words = words_of(t.as_py())
@@ -141,6 +143,8 @@ def packed_runs(docs: DataFrame, repeated: Bloom | None, hot: np.ndarray, size:
             _hashes.trim()
             types = (pa.binary(), pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.binary())
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types)], names=["key", "at", "n", "m", "hot", "words"])
+            del cols
+            pa.default_memory_pool().release_unused()
 
     return texts(docs, "key", "text").mapInArrow(run, "key binary, at long, n long, m long, hot boolean, words binary")
 
@@ -264,7 +268,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     spans = written(found.groupBy("key").agg(F.collect_list(F.struct("first", "last")).alias("spans")), "spans")
 
     def cut(batches):
-        for b in slices(batches):
+        for b in slices(batches, most_bytes=STEP_BYTES):
             n_words, removed, kept = [], [], []
             for t, spans in zip(b.column("text"), b.column("spans").to_pylist()):
                 words = words_of(t.as_py())
@@ -285,21 +289,25 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     rows = base.select("id", "text", "key", F.xxhash64("key").alias("m"))
     schema = f"id {kind}, n_words long, n_removed long, kept string"
 
-    def chosen(side: bool):
-        def run(batches):
-            for b in batches:
-                yield b.filter(pa.array(may.holds(b.column("m").to_numpy().view(np.uint64)) == side))
+    def holds(b):
+        return may.holds(b.column("m").to_numpy().view(np.uint64))
 
-        return run
+    def meeting(batches):
+        for b in batches:
+            yield b.filter(pa.array(holds(b)))
+
+    def plain(batches):  # in one step: a second Python worker for each task would double what an executor holds
+        none = pa.list_(pa.struct([("first", pa.int64()), ("last", pa.int64())]))
+        for b in batches:
+            b = b.filter(pa.array(~holds(b)))
+            yield from cut([pa.RecordBatch.from_arrays([b.column("id"), b.column("text"), pa.nulls(b.num_rows, none)], names=["id", "text", "spans"])])
 
     if may is None:
-        met = rows.join(spans, "key", "left")
+        out = texts(rows.join(spans, "key", "left"), "id", "text", "spans").mapInArrow(cut, schema)
     else:
-        kinds = f"id {kind}, text string, key binary, m long"
-        met = texts(rows).mapInArrow(chosen(True), kinds).join(spans, "key", "left")
-        plain = texts(rows).mapInArrow(chosen(False), kinds).select("id", "text", F.lit(None).cast(spans.schema["spans"].dataType).alias("spans"))
-        met = met.select("id", "text", "spans").union(plain)
-    return texts(met, "id", "text", "spans").mapInArrow(cut, schema).withColumnRenamed("id", id_col)
+        met = texts(rows).mapInArrow(meeting, f"id {kind}, text string, key binary, m long").join(spans, "key", "left")
+        out = texts(met, "id", "text", "spans").mapInArrow(cut, schema).union(texts(rows, "id", "text", "m").mapInArrow(plain, schema))
+    return out.withColumnRenamed("id", id_col)
 
 
 def digest(result: DataFrame) -> DataFrame:
