@@ -9,7 +9,7 @@ skipped, since exclusive-or then leaves more than r bits.  No pair within the ra
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -22,6 +22,8 @@ from .components import components
 
 HOT_BUCKET = 16384
 TILE = 1024
+#: Links of a pair of tiles from which on a spanning forest of them is taken.
+DENSE = 2 * TILE
 
 
 def shingle_hashes(text: str | None, size: int = 3, most: int = 1 << 16) -> Iterator[np.ndarray]:
@@ -72,13 +74,12 @@ def block_keys(fp: Column, radius: int) -> Column:
     )
 
 
-def tile_links(a: np.ndarray, b: np.ndarray, radius: int, same: bool) -> np.ndarray:
-    """Index pairs (i, j) of fingerprints within the radius, or a spanning forest of them where they are dense.
+def near_pairs(a: np.ndarray, b: np.ndarray, radius: int, same: bool) -> Iterator[np.ndarray]:
+    """Rows (i, j, distance) of fingerprints within the radius, one array for each pair of tiles that has some.
 
     Both sides come sorted by population count; if ``same``, b is a and i < j; else j counts on from len(a).
     """
     ones_a, ones_b = (np.bitwise_count(x).astype(np.int16) for x in (a, b))
-    found = []
     for i in range(0, len(a), TILE):
         x, lo, hi = a[i : i + TILE, None], ones_a[i], ones_a[min(i + TILE, len(a)) - 1]
         for j in range(i if same else 0, len(b), TILE):
@@ -89,20 +90,31 @@ def tile_links(a: np.ndarray, b: np.ndarray, radius: int, same: bool) -> np.ndar
             if same and j == i:
                 u, v = u[u < v], v[u < v]
             if len(u):
-                found.append(spanning(u + i, v + j + (0 if same else len(a)), far[u, v]))
-    if not found:
-        return np.zeros((2, 0), np.int64)
-    u, v, d = np.concatenate(found, 1)
-    return spanning(u, v, d)[:2]
+                yield np.stack((u + i, v + j + (0 if same else len(a)), far[u, v].astype(np.int64)))
+
 
+def forest(pairs: Iterator[np.ndarray], dense: int = DENSE) -> tuple[np.ndarray, bool]:
+    """The pairs (i, j), or a spanning forest of them where they are dense; whether any were left out."""
+    found, total = [np.zeros((3, 0), np.int64)], 0
+    for x in pairs:
+        total += x.shape[1]
+        found.append(spanning(*x, dense))
+    kept = spanning(*np.concatenate(found, 1), dense)
+    return kept[:2], kept.shape[1] < total
 
-def spanning(u: np.ndarray, v: np.ndarray, distance: np.ndarray) -> np.ndarray:
+
+def tile_links(a: np.ndarray, b: np.ndarray, radius: int, same: bool) -> np.ndarray:
+    """Index pairs (i, j) of fingerprints within the radius, or a spanning forest of them where they are dense."""
+    return forest(near_pairs(a, b, radius, same))[0]
+
+
+def spanning(u: np.ndarray, v: np.ndarray, distance: np.ndarray, dense: int = DENSE) -> np.ndarray:
     """Rows (u, v, distance): the links, or, where they are many, their spanning forest of least distances.
 
     Its links are real ones and join the same members, so a dense group yields no more rows than it has members.
     """
     every = np.stack((u, v, distance.astype(np.int64)))
-    if len(u) < 2 * TILE:
+    if len(u) < dense:
         return every
     every = every[:, np.argsort(distance, kind="stable")]
     nodes, ends = np.unique(every[:2], return_inverse=True)
@@ -186,46 +198,73 @@ def compare(groups: DataFrame, radius: int) -> DataFrame:
     return groups.mapInArrow(run, "a long, b long")
 
 
-def banded_links(prints: DataFrame, radius: int, tile: int = 8192) -> DataFrame:
-    """``links`` for a radius too large for blocks: every tile meets each tile whose population count is in the radius.
+def banded(prints: DataFrame, radius: int, meet: Callable, schema: str, tile: int = 8192) -> DataFrame:
+    """What ``meet(first, second)`` gives for each two tiles within a radius that is too large for blocks.
 
-    A tile packs the fingerprints of one population count and one share of the hashes; pairs of tiles are the tasks.
+    A tile packs the rows (``fp`` first) of one population count and one share of the hashes; pairs of tiles are the
+    tasks.  Where a tile meets itself, ``second`` is None.
     """
     share = max(1, -(-prints.count() // (tile * 8)))  # a population count holds a tenth of the fingerprints at most
-    tiles = prints.groupBy(F.bit_count("fp").alias("ones"), F.pmod(F.xxhash64("fp"), F.lit(share)).alias("sub")).agg(F.sort_array(F.collect_list("fp")).alias("fps"))
+    tiles = prints.groupBy(F.bit_count("fp").alias("ones"), F.pmod(F.xxhash64("fp"), F.lit(share)).alias("sub")).agg(F.sort_array(F.collect_list(F.struct(*prints.columns))).alias("rows"))
     me = F.col("ones").cast("long") * F.lit(share) + F.col("sub")
     near = F.sequence(F.greatest(F.lit(0), F.col("ones") - radius).cast("long") * F.lit(share), (F.least(F.lit(64), F.col("ones") + radius).cast("long") + 1) * F.lit(share) - 1)
-    met = tiles.select("fps", me.alias("me"), F.explode(near).alias("other")).select(
-        F.least("me", "other").alias("one"), F.greatest("me", "other").alias("two"), (F.col("me") > F.col("other")).alias("second"), "fps"
+    met = tiles.select("rows", me.alias("me"), F.explode(near).alias("other")).select(
+        F.least("me", "other").alias("one"), F.greatest("me", "other").alias("two"), (F.col("me") > F.col("other")).alias("second"), "rows"
     )
     spread = met.repartition(F.col("one"), F.col("two")).sortWithinPartitions("one", "two", "second")
 
     def run(batches):
         first = None
         for b in batches:
-            for one, two, second, fps in zip(*(b.column(c) for c in ("one", "two", "second", "fps"))):
-                fp = fps.values.to_numpy(zero_copy_only=False).view(np.uint64)
+            for one, two, second, rows in zip(*(b.column(c) for c in ("one", "two", "second", "rows"))):
                 if one.as_py() == two.as_py():
-                    u, v = tile_links(fp, fp, radius, True)
-                    every = fp
+                    yield from meet(rows.values, None)
                 elif not second.as_py():
-                    first = (one.as_py(), two.as_py(), fp)
-                    continue
-                elif first is None or first[:2] != (one.as_py(), two.as_py()):
-                    continue
-                else:
-                    u, v = tile_links(first[2], fp, radius, False)
-                    every = np.concatenate((first[2], fp))
-                if len(u):
-                    yield pa.RecordBatch.from_arrays([pa.array(every[u].view(np.int64)), pa.array(every[v].view(np.int64))], names=["a", "b"])
+                    first = (one.as_py(), two.as_py(), rows.values)
+                elif first is not None and first[:2] == (one.as_py(), two.as_py()):
+                    yield from meet(first[2], rows.values)
+
+    return spread.mapInArrow(run, schema)
+
+
+def column(rows: pa.StructArray, name: str) -> np.ndarray:
+    return rows.field(name).to_numpy(zero_copy_only=False)
+
+
+def banded_links(prints: DataFrame, radius: int, dense: int = DENSE) -> DataFrame:
+    """(a, b, dense): ``links`` for a large radius; ``dense`` marks those of tiles where only a spanning forest is given."""
+
+    def meet(first, second):
+        a = column(first, "fp").view(np.uint64)
+        b = a if second is None else column(second, "fp").view(np.uint64)
+        (u, v), less = forest(near_pairs(a, b, radius, second is None), dense)
+        every = (a if second is None else np.concatenate((a, b))).view(np.int64)
+        if len(u):
+            yield pa.RecordBatch.from_arrays([pa.array(every[u]), pa.array(every[v]), pa.array(np.full(len(u), less))], names=["a", "b", "dense"])
+
+    return banded(prints.select("fp"), radius, meet, "a long, b long, dense boolean")
+
 
-    return spread.mapInArrow(run, "a long, b long").distinct()
+def banded_pairs_apart(prints: DataFrame, radius: int) -> DataFrame:
+    """(a, b): every pair of ``fp`` within the radius whose ``root`` differs, or of which one is ``split``."""
+
+    def meet(first, second):
+        sides = (first,) if second is None else (first, second)
+        fp, root, split = (np.concatenate([column(x, c) for x in sides]) for c in ("fp", "root", "split"))
+        a = column(first, "fp").view(np.uint64)
+        b = a if second is None else column(second, "fp").view(np.uint64)
+        for u, v, _ in near_pairs(a, b, radius, second is None):
+            on = (root[u] != root[v]) | split[u] | split[v]
+            if on.any():
+                yield pa.RecordBatch.from_arrays([pa.array(fp[u[on]]), pa.array(fp[v[on]])], names=["a", "b"])
+
+    return banded(prints.select("fp", "root", "split"), radius, meet, "a long, b long")
 
 
 def links(prints: DataFrame, radius: int = 2, hot: int = HOT_BUCKET) -> DataFrame:
     """Links (a, b) between distinct fingerprints ``fp`` whose transitive closure is that of all pairs in the radius."""
     if radius > 3:
-        return banded_links(prints, radius)
+        return banded_links(prints, radius).select("a", "b")
     rows = prints.select("fp", F.bit_count("fp").alias("ones"), F.explode(block_keys(F.col("fp"), radius)).alias("k")).select("fp", "ones", "k.block", "k.value")
     # the counts hold one row per bucket beyond ``hot``; most corpora have none
     large = written(rows.groupBy("block", "value").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > hot), "hot-buckets")
@@ -281,26 +320,60 @@ def shingle_sets(docs: DataFrame, id_col: str, text_col: str, size: int) -> Data
     return texts(docs, F.col(id_col).alias("id"), text_or_empty(text_col).alias("text")).mapInArrow(run, f"id {kind}, set array<long>")
 
 
-def verified_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = 11, size: int = 5, similarity: float = 0.8) -> DataFrame:
+def alike(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """The pairs (a, b) whose sets have that Jaccard similarity."""
+    common = F.size(F.array_intersect("set_a", "set_b"))
+    for s in "ab":
+        pairs = pairs.join(sets.select(F.col("id").alias(s), F.col("set").alias(f"set_{s}")), s)
+    return pairs.filter(common >= F.lit(similarity) * (F.size("set_a") + F.size("set_b") - common)).select("a", "b")
+
+
+def verified_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = 11, size: int = 5, similarity: float = 0.8, dense: int = DENSE) -> DataFrame:
     """(node, root) for every row that has a near copy: links of SimHash whose word shingles are also similar enough.
 
     Fingerprints of three-word shingles within ``radius`` name the candidates; the Jaccard similarity of the sets of
     ``size``-word shingles, computed over the whole texts, decides.  The root is the group's smallest id.
+
+    Candidates are verified in two passes.  The first takes one row of each fingerprint and, in dense tiles, a spanning
+    forest.  The second takes every pair that the first left out and whose ends it has not joined, so no link between
+    groups is missed.
     """
     table = written(fingerprints(docs, id_col, text_col), "fingerprints").filter(F.col("id").isNotNull())
-    prints = written(table.groupBy("fp").agg(F.min("id").alias("low")), "prints")
+    prints = written(table.groupBy("fp").agg(F.min("id").alias("low"), F.count(F.lit(1)).alias("n")), "prints")
     low = {s: prints.select(F.col("fp").alias(s), F.col("low").alias(f"low_{s}")) for s in "ab"}
-    between = banded_links(prints.select("fp"), radius).join(low["a"], "a").join(low["b"], "b").select(F.col("low_a").alias("a"), F.col("low_b").alias("b"))
+    near = written(banded_links(prints, radius, dense), "near")
+    between = near.join(low["a"], "a").join(low["b"], "b").select(F.col("low_a").alias("a"), F.col("low_b").alias("b"))
     within = table.join(prints, "fp").filter(F.col("id") != F.col("low")).select(F.col("low").alias("a"), F.col("id").alias("b"))
     pairs = written(between.union(within).distinct(), "pairs")
     named = pairs.select(F.col("a").alias(id_col)).union(pairs.select(F.col("b").alias(id_col))).distinct()
     sets = written(shingle_sets(docs.join(named, id_col, "left_semi"), id_col, text_col, size), "shingles")
-    common = F.size(F.array_intersect("set_a", "set_b"))
-    alike = pairs
+    joined = written(alike(pairs, sets, similarity), "alike")
+    roots = written(components(joined), "roots")
+    rest = written(pairs_left_out(table, prints, near, roots, radius), "left-out")
+    if not rest.limit(1).count():
+        return roots
+    more = written(alike(rest, sets, similarity), "alike")
+    return components(joined.union(more)) if more.limit(1).count() else roots
+
+
+def pairs_left_out(table: DataFrame, prints: DataFrame, near: DataFrame, roots: DataFrame, radius: int) -> DataFrame:
+    """Pairs (a, b) of ids within the radius that the first pass left out and whose roots differ.
+
+    A fingerprint is split if its rows have several roots.  Left out are pairs of fingerprints in dense tiles, and
+    pairs with a row that is not the least of its fingerprint.
+    """
+    placed = written(table.join(roots.withColumnRenamed("node", "id"), "id", "left").select("id", "fp", F.coalesce("root", "id").alias("root")), "placed")
+    shape = placed.groupBy("fp").agg(F.min("root").alias("root"), (F.min("root") != F.max("root")).alias("split"), (F.count(F.lit(1)) > 1).alias("several"))
+    shape = written(shape, "shapes")
+    dense = near.filter("dense").select(F.explode(F.array("a", "b")).alias("fp")).distinct()
+    found = banded_pairs_apart(shape.join(dense, "fp", "left_semi"), radius)
+    ends = {s: shape.select(F.col("fp").alias(s), F.col("root").alias(f"root_{s}"), F.col("split").alias(f"split_{s}"), F.col("several").alias(f"several_{s}")) for s in "ab"}
+    single = near.join(ends["a"], "a").join(ends["b"], "b").filter("(root_a != root_b or split_a or split_b) and (several_a or several_b)").select("a", "b")
+    own = shape.filter("split").select(F.col("fp").alias("a"), F.col("fp").alias("b"))
+    fps = found.union(single).union(own).distinct().select(F.col("a").alias("fp_a"), F.col("b").alias("fp_b"))
     for s in "ab":
-        alike = alike.join(sets.select(F.col("id").alias(s), F.col("set").alias(f"set_{s}")), s)
-    alike = alike.filter(common >= F.lit(similarity) * (F.size("set_a") + F.size("set_b") - common))
-    return components(written(alike.select("a", "b"), "alike"))
+        fps = fps.join(placed.select(F.col("id").alias(s), F.col("fp").alias(f"fp_{s}"), F.col("root").alias(f"root_{s}")), f"fp_{s}")
+    return fps.filter("root_a != root_b and (fp_a != fp_b or a < b)").select("a", "b").distinct()
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", **how) -> DataFrame:

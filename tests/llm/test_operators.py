@@ -86,6 +86,34 @@ def test_near_copies_go_and_others_stay(spark):
     assert sorted(r.doc_id for r in simhash.keep_one(df).collect()) == [1, 3, 4]
 
 
+@pytest.mark.parametrize("dense", [2048, 2])
+def test_near_copies_against_all_pairs(spark, dense):
+    """Groups whose members lie around the similarity bound, with spanning forests and without."""
+    r = np.random.default_rng(7)
+    docs = [(0, None), (1, ""), (2, " "), (3, "A b"), (4, "a B")]
+    for g in range(4):
+        base = text_of(100 + g, 90).split()
+        for k in range(12):
+            w = list(base)
+            for at in r.integers(0, len(w), k // 3 + (g > 1)):
+                w[at] = f"new{g}x{k}"
+            docs.append((len(docs), " ".join(w)))
+    df = spark.createDataFrame(docs, "doc_id long, text string").repartition(3)
+    sets = {i: set() for i, _ in docs}
+    prints = {i: simhash.fingerprint(t) for i, t in docs}
+    for i, t in docs:
+        w = (t or "").lower().split()
+        sets[i] = {" ".join(w[k : k + 5]) for k in range(max(1, len(w) - 4))} if w else set()
+    near = [(a, b) for a in sets for b in sets if a < b and (prints[a] ^ prints[b]).bit_count() <= 11 and 10 * len(sets[a] & sets[b]) >= 8 * len(sets[a] | sets[b])]
+    root = {i: i for i in sets}
+    for _ in sets:
+        for a, b in near:
+            root[a] = root[b] = min(root[a], root[b])
+    got = {x.node: x.root for x in simhash.verified_groups(df, dense=dense).collect()}
+    assert {i: got.get(i, i) for i in sets} == root and len(set(root.values())) > 10
+    assert sorted(x.doc_id for x in simhash.keep_one(df, dense=dense).collect()) == sorted(set(root.values()))
+
+
 def test_dense_tiles_keep_components():
     r = np.random.default_rng(0)
     a = np.unique(np.array([int(f) ^ (1 << int(i)) ^ (1 << int(j)) for f in [0, 2**63 + 12345] for i, j in r.integers(0, 64, (2500, 2))], np.uint64))
