@@ -5,6 +5,7 @@ from __future__ import annotations
 import numpy as np
 import pandas as pd
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType
 
 
 @F.udtf(returnType="gram string")
@@ -17,7 +18,7 @@ class Ngrams:
             yield (" ".join(w[i : i + n]),)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def soft_mean(value: pd.Series, weight: pd.Series) -> float:
     """The mean of values weighted by the softmax of ``weight``."""
     e = np.exp(weight - weight.max())

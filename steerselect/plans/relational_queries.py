@@ -13,7 +13,10 @@ from ..streaming import runs
 from .context import H28, V, Tables, r6, with_tables
 from .registry import query
 
-N = F.count(F.lit(1))
+
+def rows_in():
+    """The number of rows; made when a query runs, since columns need a session."""
+    return F.count(F.lit(1))
 
 
 @query("op_tokens", with_tables("SELECT doc_id, n_words, len(list_distinct(toks)) AS n_distinct FROM tok", "tok"))
@@ -23,17 +26,17 @@ def op_tokens(t: Tables) -> DataFrame:
 
 @query("op_pairs", with_tables("SELECT x, y, count(*) AS n FROM pair GROUP BY x, y", "pair"))
 def op_pairs(t: Tables) -> DataFrame:
-    return T.pairs(t.tok).groupBy("x", "y").agg(N.alias("n"))
+    return T.pairs(t.tok).groupBy("x", "y").agg(rows_in().alias("n"))
 
 
 @query("op_shingles", with_tables("SELECT doc_id, count(DISTINCT s) AS n FROM (SELECT doc_id, array_to_string(l[i:i + 4], ' ') AS s FROM (SELECT doc_id, w AS l, unnest(range(1, len(w) - 3)) AS i FROM w)) GROUP BY doc_id", "w"))
 def op_shingles(t: Tables) -> DataFrame:
-    return T.shingles(t.docs, 5).groupBy("doc_id").agg(N.alias("n"))
+    return T.shingles(t.docs, 5).groupBy("doc_id").agg(rows_in().alias("n"))
 
 
 @query("op_hash_vocab", with_tables("SELECT u AS bucket, count(*) AS n FROM (SELECT unnest(toks) AS u FROM tok) GROUP BY u", "tok"))
 def op_hash_vocab(t: Tables) -> DataFrame:
-    return t.tok.select(F.explode("toks").alias("bucket")).groupBy("bucket").agg(N.alias("n"))
+    return t.tok.select(F.explode("toks").alias("bucket")).groupBy("bucket").agg(rows_in().alias("n"))
 
 
 @query("op_doc_stats", with_tables("SELECT doc_id, n_words, len(list_distinct(w.w)) AS n_types, round(list_sum(list_transform(w.w, lambda x: length(x)))::DOUBLE / n_words, 6) + 0.0 AS mean_length FROM tok JOIN w USING (doc_id) WHERE n_words > 0", "w", "tok"))
@@ -45,7 +48,7 @@ def op_doc_stats(t: Tables) -> DataFrame:
 
 @query("op_exact_dups", "SELECT md5(text) AS digest, min(doc_id) AS first_id, count(*) AS n FROM documents GROUP BY text HAVING count(*) > 1")
 def op_exact_dups(t: Tables) -> DataFrame:
-    return t.docs.groupBy(F.md5("text").alias("digest")).agg(F.min("doc_id").alias("first_id"), N.alias("n")).filter("n > 1")
+    return t.docs.groupBy(F.md5("text").alias("digest")).agg(F.min("doc_id").alias("first_id"), rows_in().alias("n")).filter("n > 1")
 
 
 BANDS = 8
@@ -58,7 +61,7 @@ def op_near_dups(t: Tables) -> DataFrame:
     hashes = [F.min(T.hash28(F.concat(F.lit(f"{b}|"), F.col("shingle")))).alias(f"h{b}") for b in range(BANDS)]
     sig = sh.groupBy("doc_id").agg(*hashes)
     rows = sig.select("doc_id", F.posexplode(F.array(*(f"h{b}" for b in range(BANDS)))).alias("band", "sig"))
-    return rows.groupBy("band", "sig").agg(F.min("doc_id").alias("first_id"), N.alias("n")).filter("n > 1")
+    return rows.groupBy("band", "sig").agg(F.min("doc_id").alias("first_id"), rows_in().alias("n")).filter("n > 1")
 
 
 @query("op_html_text", r"SELECT page_id, length(regexp_replace(regexp_replace(html, '<(script|style)[^>]*>.*?</(script|style)>', ' ', 'gs'), '<[^>]*>', ' ', 'g')) AS n_chars FROM pages")
@@ -80,7 +83,7 @@ def op_json_props(t: Tables) -> DataFrame:
 @query("op_dialog", "SELECT conv_id, count(*) AS turns, md5(string_agg(role || ': ' || text, chr(10) ORDER BY turn)) AS digest FROM conversations GROUP BY conv_id")
 def op_dialog(t: Tables) -> DataFrame:
     turns = F.array_sort(F.collect_list(F.struct("turn", F.concat("role", F.lit(": "), "text").alias("s"))))
-    return t.table("conversations").groupBy("conv_id").agg(N.alias("turns"), F.md5(F.array_join(turns["s"], "\n")).alias("digest"))
+    return t.table("conversations").groupBy("conv_id").agg(rows_in().alias("turns"), F.md5(F.array_join(turns["s"], "\n")).alias("digest"))
 
 
 SALES = "SELECT n_name, round(sum(l_extendedprice * (1 - l_discount)), 2) + 0.0 AS revenue FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey GROUP BY n_name"
@@ -99,7 +102,7 @@ query("op_hash_join", SALES)(lambda t: _sales(t, "shuffle_hash"))
 @query("op_broadcast_join", "SELECT r_name, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY r_name")
 def op_broadcast_join(t: Tables) -> DataFrame:
     c, n, r = (t.table(x) for x in ("customer", "nation", "region"))
-    return c.join(F.broadcast(n), c.c_nationkey == n.n_nationkey).join(F.broadcast(r), n.n_regionkey == r.r_regionkey).groupBy("r_name").agg(N.alias("n"))
+    return c.join(F.broadcast(n), c.c_nationkey == n.n_nationkey).join(F.broadcast(r), n.n_regionkey == r.r_regionkey).groupBy("r_name").agg(rows_in().alias("n"))
 
 
 @query("op_semi", "SELECT c_custkey FROM customer SEMI JOIN orders ON c_custkey = o_custkey")
@@ -114,7 +117,7 @@ def op_anti(t: Tables) -> DataFrame:
 
 @query("op_outer_join", "SELECT coalesce(quality, -1) AS quality, count(*) AS n FROM documents FULL JOIN labels USING (doc_id) GROUP BY 1")
 def op_outer_join(t: Tables) -> DataFrame:
-    return t.docs.join(t.table("labels"), "doc_id", "full").groupBy(F.coalesce("quality", F.lit(-1)).alias("quality")).agg(N.alias("n"))
+    return t.docs.join(t.table("labels"), "doc_id", "full").groupBy(F.coalesce("quality", F.lit(-1)).alias("quality")).agg(rows_in().alias("n"))
 
 
 @query("op_range_join", "SELECT lo, count(*) AS n FROM documents JOIN (SELECT range * 1000 AS lo, range * 1000 + 1500 AS hi FROM range(20)) ON n_chars >= lo AND n_chars < hi GROUP BY lo")
@@ -124,7 +127,7 @@ def op_range_join(t: Tables) -> DataFrame:
     bins = ranges.select("lo", "hi", F.explode(F.sequence(F.floor(F.col("lo") / 1000), F.floor((F.col("hi") - 1) / 1000))).alias("bin"))
     rows = t.docs.select("n_chars", F.floor(F.col("n_chars") / 1000).alias("bin"))
     met = rows.join(F.broadcast(bins), "bin").filter("n_chars >= lo AND n_chars < hi")
-    return met.groupBy("lo").agg(N.alias("n"))
+    return met.groupBy("lo").agg(rows_in().alias("n"))
 
 
 @query("op_asof_join", "SELECT p.event_id, v.event_id AS last_view FROM (SELECT * FROM events WHERE event_type = 'purchase') p ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events WHERE event_type = 'view' GROUP BY 1, 2) v ON p.user_id = v.user_id AND p.ts >= v.ts")
@@ -152,17 +155,17 @@ def op_lateral_topk(t: Tables) -> DataFrame:
 
 @query("op_rollup", "SELECT lang, source, count(*) AS n, grouping(lang) * 2 + grouping(source) AS level FROM documents GROUP BY ROLLUP (lang, source)")
 def op_rollup(t: Tables) -> DataFrame:
-    return t.docs.rollup("lang", "source").agg(N.alias("n"), F.grouping_id().alias("level"))
+    return t.docs.rollup("lang", "source").agg(rows_in().alias("n"), F.grouping_id().alias("level"))
 
 
 @query("op_cube", "SELECT o_orderstatus, o_orderpriority, count(*) AS n, grouping(o_orderstatus) * 2 + grouping(o_orderpriority) AS level FROM orders GROUP BY CUBE (o_orderstatus, o_orderpriority)")
 def op_cube(t: Tables) -> DataFrame:
-    return t.table("orders").cube("o_orderstatus", "o_orderpriority").agg(N.alias("n"), F.grouping_id().alias("level"))
+    return t.table("orders").cube("o_orderstatus", "o_orderpriority").agg(rows_in().alias("n"), F.grouping_id().alias("level"))
 
 
 @query("op_grouping_sets", "SELECT lang, source, count(*) AS n FROM documents GROUP BY GROUPING SETS ((lang), (source), ())")
 def op_grouping_sets(t: Tables) -> DataFrame:
-    return t.docs.groupingSets([["lang"], ["source"], []], "lang", "source").agg(N.alias("n"))
+    return t.docs.groupingSets([["lang"], ["source"], []], "lang", "source").agg(rows_in().alias("n"))
 
 
 LANGS = ["de", "en", "es", "fr"]
@@ -170,7 +173,7 @@ LANGS = ["de", "en", "es", "fr"]
 
 @query("op_pivot", "SELECT source, " + ", ".join(f"count(*) FILTER (WHERE lang = '{x}') AS {x}" for x in LANGS) + " FROM documents GROUP BY source")
 def op_pivot(t: Tables) -> DataFrame:
-    return t.docs.groupBy("source").pivot("lang", LANGS).agg(N).na.fill(0)
+    return t.docs.groupBy("source").pivot("lang", LANGS).agg(rows_in()).na.fill(0)
 
 
 @query("op_unpivot", "SELECT doc_id, 'quality' AS name, quality AS value FROM labels UNION ALL SELECT doc_id, 'toxic', toxic FROM labels")
@@ -223,7 +226,7 @@ def op_setops(t: Tables) -> DataFrame:
     a, b = t.docs.filter("doc_id % 2 = 0").select("doc_id"), t.table("labels").select("doc_id")
     parts = {"union": a.unionByName(b).distinct(), "intersect": a.intersect(b), "except": a.subtract(b)}
     rows = [p.select(F.lit(k).alias("kind")) for k, p in parts.items()]
-    return rows[0].unionAll(rows[1]).unionAll(rows[2]).groupBy("kind").agg(N.alias("n"))
+    return rows[0].unionAll(rows[1]).unionAll(rows[2]).groupBy("kind").agg(rows_in().alias("n"))
 
 
 @query("op_sample_hash", f"SELECT doc_id FROM documents WHERE ({H28.format("'smp|' || doc_id")} + 0.5::DOUBLE) / 268435456 < 0.1")
@@ -249,7 +252,7 @@ def op_array_fn(t: Tables) -> DataFrame:
 
 @query("op_map_fn", "SELECT lang, source, count(*) AS n FROM documents GROUP BY 1, 2 HAVING count(*) >= 5")
 def op_map_fn(t: Tables) -> DataFrame:
-    counts = t.docs.groupBy("lang", "source").agg(N.alias("n"))
+    counts = t.docs.groupBy("lang", "source").agg(rows_in().alias("n"))
     maps = counts.groupBy("lang").agg(F.map_from_entries(F.collect_list(F.struct("source", "n"))).alias("m"))
     return maps.select("lang", F.explode(F.map_filter("m", lambda k, v: v >= 5)).alias("source", "n"))
 
@@ -257,7 +260,7 @@ def op_map_fn(t: Tables) -> DataFrame:
 @query("op_date_fn", "SELECT strftime(o_orderdate, '%Y-%m') AS month, count(*) AS n, sum(date_diff('day', o_orderdate::DATE, (o_orderdate + INTERVAL 1 MONTH)::DATE))::BIGINT AS days FROM orders GROUP BY 1")
 def op_date_fn(t: Tables) -> DataFrame:
     d = F.col("o_orderdate").cast("date")
-    return t.table("orders").groupBy(F.date_format(d, "yyyy-MM").alias("month")).agg(N.alias("n"), F.sum(F.datediff(F.add_months(d, 1), d)).alias("days"))
+    return t.table("orders").groupBy(F.date_format(d, "yyyy-MM").alias("month")).agg(rows_in().alias("n"), F.sum(F.datediff(F.add_months(d, 1), d)).alias("days"))
 
 
 @query("op_string_fn", "SELECT p_partkey, lower(p_name) AS name, levenshtein(p_name, p_type) AS distance, substr(p_brand, 1, 3) AS head FROM part")
@@ -267,24 +270,24 @@ def op_string_fn(t: Tables) -> DataFrame:
 
 @query("op_tumbling", "SELECT date_trunc('day', ts) AS start, event_type, count(*) AS n, round(sum(value), 4) + 0.0 AS total FROM events GROUP BY 1, 2")
 def op_tumbling(t: Tables) -> DataFrame:
-    return t.table("events").groupBy(F.window("ts", "1 day"), "event_type").agg(N.alias("n"), (F.round(F.sum("value"), 4) + F.lit(0.0)).alias("total")).select(F.col("window.start").alias("start"), "event_type", "n", "total")
+    return t.table("events").groupBy(F.window("ts", "1 day"), "event_type").agg(rows_in().alias("n"), (F.round(F.sum("value"), 4) + F.lit(0.0)).alias("total")).select(F.col("window.start").alias("start"), "event_type", "n", "total")
 
 
 @query("op_sliding", "SELECT start, count(*) AS n FROM (SELECT unnest([time_bucket(INTERVAL 6 HOUR, ts) - INTERVAL 6 HOUR * k FOR k IN [0, 1, 2, 3]]) AS start FROM events) GROUP BY start")
 def op_sliding(t: Tables) -> DataFrame:
-    return t.table("events").groupBy(F.window("ts", "1 day", "6 hours")).agg(N.alias("n")).select(F.col("window.start").alias("start"), "n")
+    return t.table("events").groupBy(F.window("ts", "1 day", "6 hours")).agg(rows_in().alias("n")).select(F.col("window.start").alias("start"), "n")
 
 
 @query("op_session", "SELECT user_id, min(ts) AS start, count(*) AS n FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 2 HOUR THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, s")
 def op_session(t: Tables) -> DataFrame:
-    return t.table("events").groupBy(F.session_window("ts", "2 hours"), "user_id").agg(N.alias("n")).select("user_id", F.col("session_window.start").alias("start"), "n")
+    return t.table("events").groupBy(F.session_window("ts", "2 hours"), "user_id").agg(rows_in().alias("n")).select("user_id", F.col("session_window.start").alias("start"), "n")
 
 
 @query("op_udtf_ngrams", with_tables("SELECT item_id, count(*) AS n FROM (SELECT item_id, unnest(range(1, len(l))) AS i FROM (SELECT item_id, list_filter(regexp_split_to_array(lower(text), '[^\\p{L}]+'), lambda x: x <> '') AS l FROM benchmark)) GROUP BY item_id"))
 def op_udtf_ngrams(t: Tables) -> DataFrame:
     rows = t.table("benchmark").select("item_id", F.array_join(T.words("text"), " ").alias("s"))
     grams = rows.lateralJoin(udx.Ngrams(F.col("s").outer(), F.lit(2)))
-    return grams.groupBy("item_id").agg(N.alias("n"))
+    return grams.groupBy("item_id").agg(rows_in().alias("n"))
 
 
 @query("op_udaf_logsumexp", "SELECT event_type, round(ln(sum(exp(value / 100))), 6) + 0.0 AS lse FROM events GROUP BY event_type")
@@ -302,8 +305,8 @@ def op_pandas_udf_softmax(t: Tables) -> DataFrame:
 
 @query("op_cogroup", "SELECT lang, d, l FROM (SELECT lang, count(*) AS d FROM documents GROUP BY lang) JOIN (SELECT lang, count(*) AS l FROM documents JOIN labels USING (doc_id) GROUP BY lang) USING (lang)")
 def op_cogroup(t: Tables) -> DataFrame:
-    counts = t.docs.groupBy("lang", "source").agg(N.alias("n"))
-    labelled = t.table("documents").join(t.table("labels"), "doc_id").groupBy("lang", "source").agg(N.alias("n"))
+    counts = t.docs.groupBy("lang", "source").agg(rows_in().alias("n"))
+    labelled = t.table("documents").join(t.table("labels"), "doc_id").groupBy("lang", "source").agg(rows_in().alias("n"))
 
     def both(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
         return pd.DataFrame({"lang": [a["lang"].iloc[0]], "d": [int(a["n"].sum())], "l": [int(b["n"].sum())]})
@@ -318,13 +321,13 @@ def op_stream_window(t: Tables) -> DataFrame:
 
 @query("op_stream_dedup", "SELECT count(DISTINCT event_id) AS n FROM events")
 def op_stream_dedup(t: Tables) -> DataFrame:
-    return runs.deduplicated(t.spark, f"{t.dir}/events.parquet").agg(N.alias("n"))
+    return runs.deduplicated(t.spark, f"{t.dir}/events.parquet").agg(rows_in().alias("n"))
 
 
 @query("op_stream_join", "SELECT event_type, count(*) AS n FROM events JOIN (SELECT DISTINCT c_custkey FROM customer) ON user_id = c_custkey GROUP BY event_type")
 def op_stream_join(t: Tables) -> DataFrame:
     users = t.table("customer").select(F.col("c_custkey").alias("user_id")).distinct()
-    return runs.joined(t.spark, f"{t.dir}/events.parquet", users).groupBy("event_type").agg(N.alias("n"))
+    return runs.joined(t.spark, f"{t.dir}/events.parquet", users).groupBy("event_type").agg(rows_in().alias("n"))
 
 
 @query("op_stream_state")

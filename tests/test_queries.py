@@ -75,3 +75,13 @@ def test_picks_do_not_depend_on_partitions(spark):
 def test_alignment_needs_no_python_and_no_cartesian_product(spark):
     plan = entry.queries()["seq_nll"](spark, SF)._jdf.queryExecution().executedPlan().toString()
     assert "BroadcastHashJoin" in plan and "Cartesian" not in plan and "Python" not in plan and "SinglePartition" not in plan
+
+
+def test_queries_are_listed_without_a_session():
+    import os
+    import subprocess
+    import sys
+
+    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    code = "import __spark_entry__ as e; assert set(e.oracle_sql()) <= set(e.queries())"
+    subprocess.run([sys.executable, "-c", code], cwd=root, check=True, timeout=120)
