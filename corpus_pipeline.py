@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from steerselect.llm import exact_dedup, packing, pii, simhash, toxicity
+from steerselect.llm import exact_dedup, packing, pii, similar, toxicity
 from steerselect.llm.common import written
 from steerselect.llm.queries import vocabulary
 
@@ -22,7 +22,7 @@ def distinct(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def different(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near copies: five-word shingles, similarity 0.8 or more."""
-    return simhash.keep_one(docs)
+    return similar.keep_one(docs)
 
 
 def private(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

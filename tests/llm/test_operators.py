@@ -12,7 +12,7 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from steerselect.llm import exact_dedup, packing, pii, piece_codec, sharding, simhash, superkmer, topk_search, toxicity, warc
+from steerselect.llm import exact_dedup, packing, pii, piece_codec, sharding, similar, simhash, superkmer, topk_search, toxicity, warc
 from steerselect.llm.queries import vocabulary
 
 SCHEMA = "doc_id long, text string, kept boolean, id string"
@@ -114,6 +114,43 @@ def test_near_copies_against_all_pairs(spark, dense):
     assert sorted(x.doc_id for x in simhash.keep_one(df, dense=dense).collect()) == sorted(set(root.values()))
 
 
+@pytest.mark.parametrize("dense", [16, 1])
+def test_near_copies_at_any_distance_of_fingerprints(spark, dense):
+    """The reference is the similarity alone; some of its pairs have fingerprints more than 11 bits apart."""
+    r = np.random.default_rng(3)
+    docs = [(0, None), (1, ""), (2, "one line of text that all have")]
+    for g in range(40):
+        base = text_of(500 + g, 150).split()
+        for k in range(3):
+            w, at = list(base), int(r.integers(0, 130))
+            w[at : at + 5 * k] = [f"new{g}x{k}y{i}" for i in range(5 * k)]
+            docs.append((len(docs), " ".join(w)))
+    sets = {i: {" ".join(w[k : k + 5]) for k in range(max(1, len(w) - 4))} if (w := (t or "").lower().split()) else set() for i, t in docs}
+    alike = [(a, b) for a in sets for b in sets if a < b and 10 * len(sets[a] & sets[b]) >= 8 * len(sets[a] | sets[b])]
+    prints = {i: simhash.fingerprint(t) for i, t in docs}
+    assert any((prints[a] ^ prints[b]).bit_count() > 11 for a, b in alike)
+    root = {i: i for i in sets}
+    for _ in range(5):
+        for a, b in alike:
+            root[a] = root[b] = min(root[a], root[b])
+    got = {x.node: x.root for x in similar.similar_groups(spark.createDataFrame(docs, "doc_id long, text string"), dense=dense).collect()}
+    assert {i: got.get(i, i) for i in sets} == root
+
+
+def test_the_pipeline_finds_copies_with_distant_fingerprints(spark):
+    import corpus_pipeline
+
+    base = text_of(43, 300).split()
+    for at in range(0, 260, 2):
+        copy = base[:at] + [f"other{i}" for i in range(26)] + base[at + 26 :]
+        if (simhash.fingerprint(" ".join(base)) ^ simhash.fingerprint(" ".join(copy))).bit_count() > 11:
+            break
+    else:
+        raise AssertionError("no distant copy")
+    df = spark.createDataFrame([(1, " ".join(base)), (2, " ".join(copy)), (3, text_of(44, 300))], "doc_id long, text string")
+    assert sorted(r.doc_id for r in corpus_pipeline.different(spark, df, "").collect()) == [1, 3]
+
+
 def test_dense_tiles_keep_components():
     r = np.random.default_rng(0)
     a = np.unique(np.array([int(f) ^ (1 << int(i)) ^ (1 << int(j)) for f in [0, 2**63 + 12345] for i, j in r.integers(0, 64, (2500, 2))], np.uint64))
