@@ -292,7 +292,7 @@ def w15(t: Tables) -> Rows:
 def select_loop(t: Tables) -> DataFrame:
     """The whole loop on the block model with hybrid geometries: (step, draw, doc_id, utility) of every pick."""
     cfg = loop.Config(vocabulary=64)
-    tok = T.tokenized(t.docs, cfg.vocabulary, limit=cfg.score_len).filter(F.size("toks") > 1)
+    tok = T.tokenized(t.docs, cfg.vocabulary).filter(F.size("toks") > 1)  # whole texts: ``score_pass`` alone takes the prefix
     steps = corpus.form_buffers(t.split.filter("split = 'train'"), 256, SEED)
     count = (steps.agg(F.max("step")).first()[0] or 0) + 1
     rows = steps.join(tok, "doc_id").select("step", "doc_id", "toks")

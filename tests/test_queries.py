@@ -85,3 +85,18 @@ def test_queries_are_listed_without_a_session():
     root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
     code = "import __spark_entry__ as e; assert set(e.oracle_sql()) <= set(e.queries())"
     subprocess.run([sys.executable, "-c", code], cwd=root, check=True, timeout=120)
+
+
+def test_the_loop_trains_on_whole_texts(spark, monkeypatch):
+    """Rows longer than the scored prefix reach the update and the token count."""
+    from steerselect.operators import loop
+
+    seen = {}
+
+    def run(rows, pool, cfg, count):
+        seen.update(rows=rows, limit=cfg.score_len)
+        return None, None, [{"step": 0, "draw": 0, "doc_id": 1, "utility": 0.0}], []
+
+    monkeypatch.setattr(loop, "run_selection", run)
+    entry.queries()["select_loop"](spark, SF)
+    assert max(len(r.toks) for r in seen["rows"].select("toks").collect()) > seen["limit"]
