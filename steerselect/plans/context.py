@@ -111,6 +111,16 @@ class Tables:
         return self.nll.join(self.tok.select("doc_id", "n_words"), "doc_id").join(self.split.filter("split = 'train'"), "doc_id").select("doc_id", F.round(-F.col("nll"), 9).alias("score"), "n_words")
 
 
+def whole_nll(t: Tables) -> DataFrame:
+    """(doc_id, n_pairs, nll): the mean loss of each text's pairs, all of them."""
+    return lm_count.sequence_loss(T.pairs(t.tok), t.lm)
+
+
+def whole_scored(t: Tables) -> DataFrame:
+    """(doc_id, score, n_words): training documents by likelihood of their whole texts."""
+    return whole_nll(t).join(t.tok.select("doc_id", "n_words"), "doc_id").join(t.split.filter("split = 'train'"), "doc_id").select("doc_id", F.round(-F.col("nll"), 9).alias("score"), "n_words")
+
+
 def all_cells(t: Tables, v: DataFrame) -> DataFrame:
     """``v`` with a zero for every cell of a step that it does not name."""
     steps = t.buffers.select("step").distinct()
@@ -148,12 +158,15 @@ DEFINITIONS = {
     "past": f"SELECT x, y, {SCALE}::DOUBLE / (abs(coalesce(g, 0)) + {EPS}::DOUBLE) AS f FROM grid LEFT JOIN gmean USING (x, y)",
     "ualign": "SELECT step, doc_id, sum(c.g * f * coalesce(gp.g, 0)) AS score FROM buf JOIN grad c USING (doc_id) JOIN past USING (x, y) LEFT JOIN gp USING (step, x, y) GROUP BY step, doc_id",
     "uraw": "SELECT step, doc_id, sum(c.g * coalesce(gp.g, 0)) AS score FROM buf JOIN grad c USING (doc_id) LEFT JOIN gp USING (step, x, y) GROUP BY step, doc_id",
+    "wnll": "SELECT doc_id, count(*) AS n_pairs, -avg(logp) AS nll FROM pair JOIN lm USING (x, y) GROUP BY doc_id",
+    "wscored": "SELECT doc_id, round(-nll, 9) AS score, n_words FROM wnll JOIN tok USING (doc_id) JOIN split USING (doc_id) WHERE split = 'train'",
     "scored": "SELECT doc_id, round(-nll, 9) AS score, n_words FROM nll JOIN tok USING (doc_id) JOIN split USING (doc_id) WHERE split = 'train'",
 }
 USES = {
     "tok": ["w"], "pair": ["tok"], "spair": ["tok"], "pc": ["pair", "split"], "px": ["pc"], "lm": ["grid", "pc", "px"], "nll": ["spair", "lm"],
     "buf": ["split"], "pool": ["split"], "pbatch": ["pool", "buf"], "dx": ["spair"], "dn": ["dx"], "dxy": ["spair"], "grad": ["dx", "dn", "dxy", "lm"],
     "gp": ["pbatch", "grad"], "fx": ["pair", "split"], "fn": ["fx"], "fxy": ["pair", "split"], "gmean": ["fx", "fn", "fxy", "lm"], "past": ["grid", "gmean"],
+    "wnll": ["pair", "lm"], "wscored": ["wnll", "tok", "split"],
     "ualign": ["buf", "grad", "past", "gp"], "uraw": ["buf", "grad", "gp"], "scored": ["nll", "tok", "split"],
 }
 

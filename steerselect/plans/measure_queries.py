@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions import tokens as T
 from ..operators import corpus, lm_count, measures, pick
-from .context import ALPHA, BUFFER, H28, LR, RATIO, SEED, SKETCH, TAU, V, Tables, r6, with_tables
+from .context import ALPHA, BUFFER, H28, LR, RATIO, SEED, SKETCH, TAU, V, Tables, r6, whole_nll, with_tables
 from .core_queries import BUCKET, SIGN, TOP, _proxy_sketch
 from .proxy_queries import raw_scores
 from .registry import query
@@ -173,6 +173,12 @@ def cpt_breakdown(t: Tables) -> DataFrame:
     return rows.cube("lang", "domain").agg(F.count(F.lit(1)).alias("n"), r6(F.avg("nll")).alias("nll"))
 
 
+@query("cpt_breakdown_whole", with_tables(f"SELECT lang, domain, count(*) AS n, round(avg(nll), 6) + 0.0 AS nll FROM (SELECT lang, {DOMAIN} AS domain, nll FROM wnll JOIN documents USING (doc_id)) GROUP BY CUBE (lang, domain)", "wnll"))
+def cpt_breakdown_whole(t: Tables) -> DataFrame:
+    rows = whole_nll(t).join(t.docs.select("doc_id", "lang", (F.substring("source", 4, 9).cast("int") % 10).alias("domain")), "doc_id")
+    return rows.cube("lang", "domain").agg(F.count(F.lit(1)).alias("n"), r6(F.avg("nll")).alias("nll"))
+
+
 @query("sketch_error", with_tables(f"SELECT count(*) AS n, round(avg(e), 4) + 0.0 AS bias, round(stddev_samp(e), 4) + 0.0 AS sd, round(corr(score, s), 3) + 0.0 AS correlation FROM (SELECT score, s, s - score AS e FROM uraw JOIN (SELECT step, doc_id, sum(c.val * coalesce(q.val, 0)) AS s FROM buf JOIN ck c USING (doc_id) LEFT JOIN pk q USING (step, bucket) GROUP BY 1, 2) USING (step, doc_id))", "uraw", ck=f"SELECT doc_id, {BUCKET} AS bucket, sum({SIGN} * g) AS val FROM grad GROUP BY 1, 2", pk=f"SELECT step, {BUCKET} AS bucket, sum({SIGN} * g) AS val FROM gp GROUP BY 1, 2"))
 def sketch_error(t: Tables) -> DataFrame:
     """Sketched against exact products in the plain geometry."""

@@ -100,3 +100,18 @@ def test_the_loop_trains_on_whole_texts(spark, monkeypatch):
     monkeypatch.setattr(loop, "run_selection", run)
     entry.queries()["select_loop"](spark, SF)
     assert max(len(r.toks) for r in seen["rows"].select("toks").collect()) > seen["limit"]
+
+
+WHOLE = ["seq_nll_whole", "static_threshold_whole", "static_topk_whole", "token_budget_whole", "cpt_breakdown_whole"]
+
+
+@pytest.mark.parametrize("name", WHOLE)
+def test_whole_texts_equal_sql(spark, duck, name):
+    a, b = entry.queries()[name](spark, SF).toPandas(), duck.execute(entry.oracle_sql()[name]).fetch_df()
+    assert sorted(a.columns) == sorted(b.columns) and rows(a) == rows(b)
+
+
+def test_losses_count_every_pair(spark):
+    n = {r.doc_id: r.n_pairs for r in entry.queries()["seq_nll_whole"](spark, SF).collect()}
+    words = {r.doc_id: r.n_words for r in entry.queries()["op_tokens"](spark, SF).collect()}
+    assert max(n.values()) > 511 and n == {d: w - 1 for d, w in words.items() if w > 1}
