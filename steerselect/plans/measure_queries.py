@@ -85,6 +85,14 @@ def domain_ppl(t: Tables) -> DataFrame:
     return kept.groupBy("domain").agg(F.count(F.lit(1)).alias("n"), (F.round(F.exp(-F.sum("total") / F.sum("k")), 5) + F.lit(0.0)).alias("ppl"))
 
 
+@query("domain_ppl_whole", with_tables(f"SELECT {DOMAIN} AS domain, count(DISTINCT doc_id) AS n, round(exp(-sum(logp) / count(*)), 5) + 0.0 AS ppl FROM pair JOIN lm USING (x, y) JOIN split USING (doc_id) JOIN documents USING (doc_id) WHERE split = 'val' GROUP BY 1", "pair", "lm", "split"))
+def domain_ppl_whole(t: Tables) -> DataFrame:
+    """Perplexity on all held-out documents of each domain; ``domain_ppl`` takes five."""
+    doc = t.val_pairs.join(F.broadcast(t.lm), ["x", "y"]).groupBy("doc_id").agg(F.sum("logp").alias("total"), F.count(F.lit(1)).alias("k"))
+    rows = doc.join(t.docs.select("doc_id", (F.substring("source", 4, 9).cast("int") % 10).alias("domain")), "doc_id")
+    return rows.groupBy("domain").agg(F.count(F.lit(1)).alias("n"), (F.round(F.exp(-F.sum("total") / F.sum("k")), 5) + F.lit(0.0)).alias("ppl"))
+
+
 CH = ", ".join(map(str, measures.CHOICES))
 TASKS = {
     "bt": rf"SELECT item_id, list_transform(list_filter(regexp_split_to_array(lower(text), '[^\p{{L}}]+'), lambda x: x <> ''), lambda x: {H28.format('x')} % {V}) AS toks FROM benchmark",

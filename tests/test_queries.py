@@ -115,3 +115,13 @@ def test_losses_count_every_pair(spark):
     n = {r.doc_id: r.n_pairs for r in entry.queries()["seq_nll_whole"](spark, SF).collect()}
     words = {r.doc_id: r.n_words for r in entry.queries()["op_tokens"](spark, SF).collect()}
     assert max(n.values()) > 511 and n == {d: w - 1 for d, w in words.items() if w > 1}
+
+
+def test_domains_count_every_held_out_document(spark):
+    sf = "/root/testdata/sf0.01"
+    sql = entry.oracle_sql()["domain_ppl_whole"]
+    with duckdb.connect() as c:
+        c.execute(f"create view documents as select * from '{sf}/documents.parquet'")
+        want = c.execute(sql).fetch_df()
+    got = entry.queries()["domain_ppl_whole"](spark, sf).toPandas()
+    assert rows(got) == rows(want) and got["n"].max() > 5
