@@ -7,7 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_dedup, packing, pii, piece_codec, sharding, simhash, superkmer, topk_search, toxicity, warc
+from ..functions import tokens as T
+from . import exact_dedup, packing, pii, piece_codec, sharding, similar, simhash, superkmer, topk_search, toxicity, warc
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -66,6 +67,16 @@ def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.place(_table(spark, sf_dir, "documents"), tree, sharding.grown(tree, 8))
 
 
+def near_dup_classes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(doc_id, class_id) of every document: classes of exact five-word Jaccard similarity 0.8 or more, short texts included.
+
+    ``op_near_dups`` gives the candidates of equal MinHash values alone; words are runs of letters, as there.
+    """
+    docs = _table(spark, sf_dir, "documents").select("doc_id", F.array_join(T.words("text"), " ").alias("text"))
+    roots = similar.similar_groups(docs)
+    return docs.select("doc_id").join(roots, F.col("doc_id") == F.col("node"), "left").select("doc_id", F.coalesce("root", "doc_id").alias("class_id"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     every = (
         op1_simhash_near_dedup,
@@ -78,6 +89,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         op8_sentencepiece,
         op9_exact_dedup,
         op10_sharding,
+        near_dup_classes,
     )
     return {f.__name__: f for f in every}
 

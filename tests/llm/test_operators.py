@@ -151,6 +151,24 @@ def test_the_pipeline_finds_copies_with_distant_fingerprints(spark):
     assert sorted(r.doc_id for r in corpus_pipeline.different(spark, df, "").collect()) == [1, 3]
 
 
+def test_classes_hold_every_document(spark, tmp_path):
+    from steerselect.llm import queries
+
+    base = text_of(1, 200)
+    texts = [base, base + " tail", text_of(2, 200), "too short", "Too, short!", "alone", base[: len(base) // 2] + " " + text_of(3, 100)]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r.doc_id: r.class_id for r in queries.queries()["near_dup_classes"](spark, str(tmp_path)).collect()}
+    words = [[w for w in re.split(r"[^a-z]+", t.lower()) if w] for t in texts]
+    sets = [{" ".join(w[k : k + 5]) for k in range(max(1, len(w) - 4))} for w in words]
+    root = list(range(len(texts)))
+    for _ in root:
+        for a, x in enumerate(sets):
+            for b, y in enumerate(sets):
+                if 10 * len(x & y) >= 8 * len(x | y):
+                    root[a] = root[b] = min(root[a], root[b])
+    assert got == dict(enumerate(root)) and got[1] == 0 and got[4] == 3 and got[5] == 5
+
+
 def test_dense_tiles_keep_components():
     r = np.random.default_rng(0)
     a = np.unique(np.array([int(f) ^ (1 << int(i)) ^ (1 << int(j)) for f in [0, 2**63 + 12345] for i, j in r.integers(0, 64, (2500, 2))], np.uint64))
