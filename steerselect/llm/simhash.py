@@ -9,7 +9,7 @@ skipped, since exclusive-or then leaves more than r bits.  No pair within the ra
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -43,8 +43,13 @@ def shingle_hashes(text: str | None, size: int = 3, most: int = 1 << 16) -> Iter
 
 def fingerprint(text: str | None, size: int = 3) -> int:
     """A bit is 1 where over half of the shingle hashes have it; no words: zero."""
+    return majority(shingle_hashes(text, size))
+
+
+def majority(hashes: Iterable[np.ndarray]) -> int:
+    """The bits that over half of all hashes have; of none: zero."""
     ones, n = np.zeros(64, np.int64), 0
-    for h in shingle_hashes(text, size):
+    for h in hashes:
         bits = np.unpackbits(h.astype(">u8").view(np.uint8)).reshape(-1, 64)
         ones += bits.sum(0, dtype=np.int64) if len(bits) < 256 else np.add.reduce(bits, 0, dtype=np.uint32)
         n += len(h)
