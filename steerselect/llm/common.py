@@ -5,7 +5,9 @@ from __future__ import annotations
 import tempfile
 import uuid
 from collections.abc import Iterator
+from itertools import repeat
 
+import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -96,3 +98,69 @@ def slices(batches: Iterator[pa.RecordBatch], text: str = "text", most_bytes: in
                 first, held = i, 0
             held += n or 0
         yield b.slice(first)
+
+
+def gather(flat: np.ndarray, starts: np.ndarray, lens: np.ndarray) -> np.ndarray:
+    """The ranges of ``flat`` that begin at ``starts`` and have ``lens`` values, one after another."""
+    ends = np.cumsum(lens)
+    at = np.repeat(starts - (ends - lens), lens)
+    at += np.arange(len(at))
+    return flat[at]
+
+
+class IdTable:
+    """Ids of words, worked out once for each word and held in flat arrays; all is forgotten when a bound is passed."""
+
+    def __init__(self, encode, most_words: int = 700_000, most_ids: int = 6_000_000) -> None:
+        """``encode`` gives, for a list of words, their ids in one array and the number of ids of each."""
+        self.encode, self.most_words, self.most_ids = encode, most_words, most_ids
+        self.clear()
+
+    def clear(self) -> None:
+        self.slot: dict[str, int] = {}
+        self.flat, self.starts, self.lens, self.used = np.empty(1 << 16, np.uint32), np.empty(1 << 14, np.int64), np.empty(1 << 14, np.int64), 0
+
+    def add(self, words: list[str], ids: np.ndarray, lens: np.ndarray) -> None:
+        """Words that are not held yet, each once."""
+        first, n, used = len(self.slot), len(self.slot) + len(words), self.used + len(ids)
+        while n > len(self.starts):
+            self.starts, self.lens = (np.concatenate((x, np.empty_like(x))) for x in (self.starts, self.lens))
+        while used > len(self.flat):
+            self.flat = np.concatenate((self.flat, np.empty_like(self.flat)))
+        self.flat[self.used : used], self.lens[first:n], self.starts[first:n] = ids, lens, self.used + np.cumsum(lens) - lens
+        self.slot.update(zip(words, range(first, n)))
+        self.used = used
+
+    def slots(self, words: list[str]) -> np.ndarray:
+        """The place of each of these different words; what is new is encoded."""
+        get = self.slot.get
+        at = np.fromiter(map(get, words, repeat(-1)), np.int64, len(words))
+        new = np.flatnonzero(at < 0)
+        if len(new):
+            names = [words[i] for i in new.tolist()]
+            at[new] = np.arange(len(self.slot), len(self.slot) + len(names))
+            self.add(names, *self.encode(names))
+        return at
+
+    def ids(self, words: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of all words, in order, and the number of each one's."""
+        if len(self.slot) > self.most_words or self.used > self.most_ids:
+            self.clear()
+        coded = words.dictionary_encode()
+        at = self.slots(coded.dictionary.to_pylist())[coded.indices.to_numpy(zero_copy_only=False)]
+        lens = self.lens[at]
+        return gather(self.flat, self.starts[at], lens), lens
+
+
+def sections(text: str, most: int = 4 << 20) -> Iterator[str]:
+    """Parts of a long text of about ``most`` characters that are cut at, and lose, a space between two ASCII letters or digits."""
+    at = 0
+    while len(text) - at > most:
+        cut = text.find(" ", at + most)
+        while cut >= 0 and not (text[cut - 1 : cut + 2].isascii() and text[cut - 1].isalnum() and text[cut + 1 : cut + 2].isalnum()):
+            cut = text.find(" ", cut + 1)
+        if cut < 0:
+            break
+        yield text[at:cut]
+        at = cut + 1
+    yield text[at:]

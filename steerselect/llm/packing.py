@@ -8,83 +8,115 @@ least sum of squared counts of windows per level.  The counts live in an array b
 from __future__ import annotations
 
 import functools
-import re
-import sys
+import json
 import zlib
-from array import array
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+import pyarrow.compute as pc
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BoundedCache, slices, text_or_empty, texts, written
+from .common import IdTable, gather, sections, slices, text_or_empty, texts, written
 
 WINDOW = 2048
 END_ID = 1
 #: Pieces that one task packs; more of them make more groups, each with its own level array.
 GROUP = 65536
+#: Bytes of texts that are encoded in one step; longer ones go in sections.
+LONG = 12 << 20
 
 
-BIG = sys.byteorder == "big" or array("I").itemsize != 4
-BEYOND = re.compile("[\x1c-\x1f]")
+#: Texts of other characters, or with the mark that begins special tokens, are given to the tokenizer whole.  Within
+#: these, white space is ASCII, normalisation to composed form changes nothing, and lower case goes letter by letter.
+ODD = r"[^\x02-\x1b\x20-\x7f\x{a1}-\x{12f}\x{131}-\x{17f}]|<\|"
+#: A letter or digit and the mark behind it never share a token.
+BEFORE_MARK = r"([\pL\pN])([^\s\pL\pN])"
+
+
+def byte_letters() -> dict[int, str]:
+    """The letters that stand for bytes in byte-level vocabularies: printable ones as they are, others from U+0100 on."""
+    plain = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
+    rest = iter(range(0x100, 0x200))
+    return {b: chr(b if b in plain else next(rest)) for b in range(256)} | {0x20: " "}
+
+
+BYTE_LETTERS = byte_letters()
 
 
 class WordEncoder:
-    """Ids as little-endian 32-bit words, by way of a cache of blank-separated chunks.
+    """Ids of texts, by way of a table of their lower-case words.
 
-    The tokenizer drops white space and never merges across it, so chunks are encoded on their own; its special tokens
-    hold no white space.  ``str.split`` also cuts at U+001C to U+001F, which the tokenizer keeps: such texts are cut
-    at other white space only.
+    The tokenizer drops white space and never merges across it, nor from a letter or digit to a mark behind it, so words
+    and the marks behind them are encoded on their own.
     """
 
-    def __init__(self, tokenizer_file: str, limit: int = 1_200_000) -> None:
+    def __init__(self, tokenizer_file: str) -> None:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(tokenizer_file)
-        self.cache = BoundedCache(lambda w: self.encoded([w])[0], limit)
-
-    def encoded(self, words: list[str]) -> list[bytes]:
-        return [np.array(e.ids, "<u4").tobytes() if BIG else array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
-
-    @staticmethod
-    def parts(word: str) -> list[str]:
-        """Pieces of a chunk that the tokenizer surely encodes one by one, in lower case where that is all ASCII."""
-        if word.isascii() and "<|" not in word:
-            word = word.lower()
-        return [word[:-1], word[-1]] if len(word) > 1 and word[-1] in ".,;:!?" and word[:-1].isalpha() else [word]
-
-    def learn(self, words: set[str]) -> None:
-        """Puts all words into the cache, with one call for what is new."""
-        cache = self.cache
-        new = {w: self.parts(w) for w in words.difference(cache.old)}
-        base = list({p for ps in new.values() for p in ps}.difference(cache, cache.old))
-        for i in range(0, len(base), 8192):
-            cache.update(zip(base[i : i + 8192], self.encoded(base[i : i + 8192])))
-        for w, ps in new.items():
-            if len(ps) > 1 or ps[0] != w:
-                cache[w] = b"".join(map(cache.__getitem__, ps))
-
-    def encode_all(self, texts: list[str]) -> list[bytes]:
-        """Ids of each text; what a call must know stays cached until it ends."""
-        get, out, late, missing = self.cache.get, [], [], set()
-        for n, t in enumerate(texts):
-            words = t.split() if not BEYOND.search(t) else re.findall(r"(?:[^\s]|[\x1c-\x1f])+", t)
-            ids = list(map(get, words))  # one look-up for each word that is known
-            if None in ids:
-                late.append((n, words, ids))
-                missing.update(w for w, i in zip(words, ids) if i is None)
-                out.append(b"")
-            else:
-                out.append(b"".join(ids))
-        self.learn(missing)
-        for n, words, ids in late:
-            out[n] = b"".join([self.cache[w] if i is None else i for w, i in zip(words, ids)])
-        self.cache.trim()
+        self.table = IdTable(self.encoded)
+        self.between = self.whole("\x01")
+        spec = json.loads(self.tokenizer.to_str()) | {"normalizer": None, "added_tokens": [], "pre_tokenizer": {"type": "WhitespaceSplit"}}
+        self.merges = Tokenizer.from_str(json.dumps(spec))
+        vocabulary, suffix = self.tokenizer.get_vocab(), spec["model"].get("end_of_word_suffix") or "\0"
+        self.last = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.last[[i for w, i in vocabulary.items() if w.endswith(suffix)]] = True
+
+    def whole(self, text: str) -> np.ndarray:
+        parts = [np.array(self.tokenizer.encode_batch_fast([t], add_special_tokens=False)[0].ids, np.uint32) for t in sections(text, 1 << 20)]
+        return parts[0] if len(parts) == 1 else np.concatenate(parts)
+
+    def encoded(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of words, hundreds in one call; where each ends shows by its last token or by a mark put between."""
+        plain = np.fromiter(map(str.isalpha, words), bool, len(words))
+        lens, parts, order = np.zeros(len(words), np.int64), [np.zeros(0, np.uint32)], []
+        for on, some_ids in ((plain, self.letters), (~plain, self.between_marks)):
+            at = np.flatnonzero(on)
+            for i in range(0, len(at), 256):
+                some = [words[k] for k in at[i : i + 256].tolist()]
+                ids, n = some_ids(some)
+                if n is None or len(n) != len(some):
+                    each = [self.whole(w) for w in some]
+                    ids, n = np.concatenate(each), np.array([len(x) for x in each])
+                lens[at[i : i + 256]] = n
+                parts.append(ids)
+            order.append(at)
+        at = np.concatenate(order)
+        starts = np.empty(len(words), np.int64)
+        starts[at] = np.cumsum(lens[at]) - lens[at]
+        return gather(np.concatenate(parts), starts, lens), lens
+
+    def letters(self, words: list[str]) -> tuple[np.ndarray, np.ndarray | None]:
+        """Words of letters alone are one run each, so the merges can be asked directly."""
+        text = " ".join(words).encode().decode("latin-1").translate(BYTE_LETTERS)
+        ids = np.array(self.merges.encode_batch_fast([text], add_special_tokens=False)[0].ids, np.uint32)
+        return ids, np.diff(np.flatnonzero(self.last[ids]), prepend=-1) if len(ids) and self.last[ids[-1]] else None
+
+    def between_marks(self, words: list[str]) -> tuple[np.ndarray, np.ndarray | None]:
+        if len(self.between) != 1:
+            return np.zeros(0, np.uint32), None
+        got = self.whole(" \x01 ".join(words))
+        is_cut = got == self.between[0]
+        return got[~is_cut], np.diff(np.flatnonzero(np.append(is_cut, True)), prepend=-1) - 1
+
+    def encode_all(self, texts: pa.Array) -> list[np.ndarray]:
+        """Ids of each text."""
+        odd = pc.match_substring_regex(texts, ODD)
+        strange = np.flatnonzero(odd.to_numpy(zero_copy_only=False))
+        plain = pc.if_else(odd, "", texts) if len(strange) else texts
+        if plain.nbytes > LONG:
+            return [self.whole(t.as_py()) if o else np.concatenate([self.encode_all(pa.array([x]))[0] for x in sections(t.as_py())]) for o, t in zip(odd.to_pylist(), texts)]
+        split = pc.ascii_split_whitespace(pc.replace_substring_regex(pc.utf8_lower(plain), BEFORE_MARK, r"\1 \2"))
+        ids, lens = self.table.ids(split.flatten())
+        ends = np.concatenate(([0], np.cumsum(lens)))[split.offsets.to_numpy()]
+        out = [ids[a:b] for a, b in zip(ends.tolist(), ends[1:].tolist())]
+        for i in strange.tolist():
+            out[i] = self.whole(texts[i].as_py())
         return out
 
     def encode(self, text: str) -> bytes:
-        return self.encode_all([text])[0]
+        return self.encode_all(pa.array([text]))[0].astype("<u4").tobytes()
 
 
 @functools.lru_cache(2)
@@ -100,10 +132,10 @@ def pieces(docs: DataFrame, tokenizer_file: str, id_col: str = "doc_id", text_co
 
     def run(batches):
         enc = encoder(tokenizer_file)
-        for b in slices(batches, most_bytes=2 << 20):
+        for b in slices(batches, most_bytes=4 << 20):
             ids, starts, lengths, crcs, totals = [], [], [], [], []
-            for k, data in enumerate(enc.encode_all(b.column("text").to_pylist())):
-                data += END_ID.to_bytes(4, "little")
+            for k, data in enumerate(enc.encode_all(b.column("text"))):
+                data = np.append(data, np.uint32(END_ID)).astype("<u4").tobytes()
                 n = len(data) // 4
                 for s in range(0, n, window):
                     part = data[4 * s : 4 * (s + window)]
