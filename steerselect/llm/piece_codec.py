@@ -5,7 +5,9 @@ at a position; the right one is that whose predecessor, the stored last token of
 that merging would leave as it is.  Ids are then recovered backwards through the table.
 
 Chunks are runs of spaces with what follows them: no piece of the model holds a space after another character, so no
-merge crosses a chunk's border.  Characters without a piece become byte pieces and are borders too.
+merge crosses a chunk's border.  Characters without a piece become byte pieces and are borders too, and so are two
+neighbours that no piece holds.  A run whose table has no entry at its end is merged plainly, which models whose tokens
+can all be made by merging never need.
 """
 
 from __future__ import annotations
@@ -17,18 +19,24 @@ import re
 import ahocorasick
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BoundedCache, slices, text_or_empty, texts
+from .common import BoundedCache, IdTable, gather, slices, text_or_empty, texts
 
 SPACE = "▁"
+#: Marks that often follow a word.
+MARKS = ".,;:!?&%$*"
+#: Bytes of texts that are encoded in one step; longer ones go chunk by chunk.
+LONG = 12 << 20
 
 
 class PieceCodec:
     """Encoder and decoder of one model file; both agree with the sentencepiece library."""
 
-    def __init__(self, model_file: str, limit: int = 500_000, compare: bool = True) -> None:
+    def __init__(self, model_file: str, compare: bool = False) -> None:
+        """``compare`` encodes every new chunk with the library too and raises an error if it gives other ids."""
         import sentencepiece
         from sentencepiece import sentencepiece_model_pb2
 
@@ -53,22 +61,35 @@ class PieceCodec:
         self.raw[self.unknown] = " ⁇ ".encode()
         self.bytes_ = set(self.byte_id.values())
         self.automaton = ahocorasick.Automaton()
+        self.halves: dict[str, tuple[str, str] | None] = {}
+        self.left, self.right = {}, {}
         for p, i in self.plain.items():
-            if self.merged(p) == [p]:  # a token that merging never makes ends no prefix
+            parts, half = self.merges(p)
+            if len(parts) == 1:  # a token that merging never makes ends no prefix
                 self.automaton.add_word(p, (len(p), i))
+                self.halves[p] = half
         self.automaton.make_automaton()
+        self.edges()
         self.known = {p for p in self.plain if len(p) == 1}
         self.fits = BoundedCache(self._fits, 1_000_000)
-        self.cache = BoundedCache(self._chunk, limit)
-        lone = "".join(c for c in "\n\t" if not any(c in p for p in self.plain))  # borders that make chunks repeat more often
-        self.split = re.compile(f"{SPACE}+[^{SPACE}{lone}]*|[^{SPACE}{lone}]+" + f"|[{lone}]" * bool(lone))
+        #: Neighbours that no piece holds: no merge joins them, so chunks can be cut there.
+        self.inside = {p[i : i + 2] for p in self.plain for i in range(len(p) - 1)}
+        self.lone = not any("\n" in p for p in self.plain)
+        self.table = IdTable(self.encoded)
+        lens = [len(x) for x in self.raw]
+        self.raw_flat, self.raw_lens = np.frombuffer(b"".join(self.raw), np.uint8), np.array(lens, np.int64)
+        self.raw_starts = np.cumsum(self.raw_lens) - self.raw_lens
+        self.runs = BoundedCache(self.run, 400_000)
         proto.normalizer_spec.add_dummy_prefix = False
         self.library = sentencepiece.SentencePieceProcessor(model_proto=proto.SerializeToString()) if compare else None
-        self.differing = 0
 
     def merged(self, text: str) -> list[str]:
         """What merging makes of known characters: the adjacent pair of best score first, the leftmost among equals."""
-        parts = list(text)
+        return self.merges(text)[0]
+
+    def merges(self, text: str) -> tuple[list[str], tuple[str, str] | None]:
+        """The same, and the two parts of the last merge."""
+        parts, last = list(text), None
         while len(parts) > 1:
             at, best = -1, float("-inf")
             for i in range(len(parts) - 1):
@@ -77,62 +98,133 @@ class PieceCodec:
                     at, best = i, s
             if at < 0:
                 break
+            last = parts[at], parts[at + 1]
             parts[at : at + 2] = [parts[at] + parts[at + 1]]
-        return parts
+        return parts, last
+
+    def edges(self) -> None:
+        """For each token the parts at its left and right end, from a character to the whole.
+
+        Left out are tokens with a part, at any depth, that is merged later than what it is part of.
+        """
+        for p in sorted(self.halves, key=len):
+            half = self.halves[p]
+            if half is None or all(x in self.left and (len(x) == 1 or self.score[x] > self.score[p]) for x in half):
+                self.left[p] = (*self.left[half[0]], p) if half else (p,)
+                self.right[p] = (*self.right[half[1]], p) if half else (p,)
 
     def _fits(self, pair: int) -> bool:
+        """Whether merging leaves two tokens side by side: no pair of their facing parts is merged while both stand there."""
         a, b = self.pieces[pair >> 20], self.pieces[pair & 0xFFFFF]
-        return self.merged(a + b) == [a, b]
+        if a not in self.right or b not in self.left:
+            return self.merged(a + b) == [a, b]
+        score, xs, ys = self.score, self.right[a], self.left[b]
+        i = j = 0
+        none = float("-inf")
+        while True:
+            next_x = score[xs[i + 1]] if i + 1 < len(xs) else none
+            next_y = score[ys[j + 1]] if j + 1 < len(ys) else none
+            s = score.get(xs[i] + ys[j])
+            if s is not None and s > next_x and s >= next_y:
+                return False
+            if next_x == next_y == none:
+                return True
+            if next_x >= next_y:
+                i += 1
+            else:
+                j += 1
 
     def run(self, text: str) -> list[int]:
         """Ids of a run of known characters."""
-        last: list[tuple[int, int] | None] = [None] * (len(text) + 1)  # per prefix: (last token, where it starts)
-        last[0] = (-1, 0)
+        n = len(text)
+        last, begins = [-1] * (n + 1), [0] * (n + 1)  # per prefix: the last token of its merge result, and where it starts
         fits = self.fits
         for stop, (size, token) in self.automaton.iter(text):
-            start = stop + 1 - size
-            before = last[start]
-            if before is not None and last[stop + 1] is None and (start == 0 or fits[before[0] << 20 | token]):
-                last[stop + 1] = (token, start)
-        at, out = len(text), []
+            stop += 1
+            if last[stop] < 0:
+                start = stop - size
+                if start == 0 or last[start] >= 0 and fits[last[start] << 20 | token]:
+                    last[stop], begins[stop] = token, start
+        at, out = n, []
         while at:
-            if last[at] is None:
+            if last[at] < 0:
                 return [self.plain[p] for p in self.merged(text)]
-            token, at = last[at]
-            out.append(token)
+            out.append(last[at])
+            at = begins[at]
         return out[::-1]
 
     def ids_of(self, chunk: str) -> list[int]:
+        known, inside, runs = self.known, self.inside, self.runs
+        if known.issuperset(chunk):
+            stem = chunk.rstrip(MARKS)
+            cut = len(stem)
+            return runs[chunk] if cut in (0, len(chunk)) or chunk[cut - 1 : cut + 1] in inside else runs[stem] + runs[chunk[cut:]]
         out: list[int] = []
-        known, start = self.known, 0
+        start = 0
         for i, c in enumerate(chunk):
             if c not in known:
                 if start < i:
-                    out += self.run(chunk[start:i])
+                    out += runs[chunk[start:i]]
                 out += [self.byte_id[b] for b in c.encode("utf-8", "replace")] if self.byte_id else [self.unknown]
                 start = i + 1
-        return out + self.run(chunk[start:]) if start < len(chunk) else out
-
-    def _chunk(self, chunk: str) -> bytes:
-        ids = self.ids_of(chunk)
-        if self.library is not None:  # an exact check: the library's ids are right by definition
-            right = self.library.encode(chunk)
-            if right != ids:
-                self.differing += 1
-                ids = right
-        return np.array(ids, "<u4").tobytes()
-
-    def encode_bytes(self, text: str) -> bytes:
-        """Ids between the begin and end ids as little-endian 32-bit words."""
-        body = b""
-        if text:
-            body = b"".join(map(self.cache.__getitem__, self.split.findall(SPACE + text.replace(" ", SPACE))))
-            self.cache.trim()
-            self.fits.trim()
-        return self.begin.to_bytes(4, "little") + body + self.end.to_bytes(4, "little")
+            elif start < i and chunk[i - 1 : i + 1] not in inside:
+                out += runs[chunk[start:i]]
+                start = i
+        return out + runs[chunk[start:]] if start < len(chunk) else out
+
+    def encoded(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of words that follow a space; one that begins with a line end follows no space."""
+        out = [self.ids_of(w if w.startswith("\n") else SPACE + w) for w in words]
+        if self.library is not None:
+            for w, ids in zip(words, out):
+                if self.library.encode(w if w.startswith("\n") else " " + w) != ids:
+                    raise ValueError(f"the prefix table and the library differ on {w[:100]!r}")
+        self.runs.trim()
+        self.fits.trim()
+        return np.array([i for ids in out for i in ids], np.uint32), np.fromiter(map(len, out), np.int64, len(out))
+
+    def encode_all(self, texts: pa.Array) -> list[np.ndarray]:
+        """Ids of each text between the begin and end ids.
+
+        Words between single spaces are looked up in the table; texts with runs of spaces, or with the character that
+        stands for a space, are cut into chunks one by one.
+        """
+        odd = pc.match_substring_regex(texts, f"^ |  |{SPACE}|^$" + ("" if self.lone else "|\n"))
+        strange = odd.to_pylist()
+        plain = pc.if_else(odd, "", texts)
+        if plain.nbytes > LONG:
+            return [self.framed(self.long(t.as_py())) for t in texts]
+        split = pc.split_pattern(pc.replace_substring(plain, "\n", " \n"), " ")
+        ids, lens = self.table.ids(split.flatten())
+        ends = np.concatenate(([0], np.cumsum(lens)))[split.offsets.to_numpy()].tolist()
+        return [self.framed(self.long(t.as_py()) if o else ids[a:b]) for t, o, a, b in zip(texts, strange, ends, ends[1:])]
+
+    def framed(self, ids: np.ndarray) -> np.ndarray:
+        return np.concatenate((np.array([self.begin], np.uint32), ids, np.array([self.end], np.uint32)))
+
+    def long(self, text: str) -> np.ndarray:
+        """Ids of any text without begin and end, chunk by chunk: runs of spaces with what follows them."""
+        parts = [np.zeros(0, np.uint32)]
+        marked = SPACE + text.replace(" ", SPACE) if text else ""
+        for m in re.finditer(f"{SPACE}*[^{SPACE}\n]+|{SPACE}+|\n" if self.lone else f"{SPACE}*[^{SPACE}]+|{SPACE}+", marked):
+            parts.append(np.array(self.ids_of(m[0]), np.uint32))
+            if len(parts) > 4096:
+                parts = [np.concatenate(parts)]
+                self.runs.trim()
+        return np.concatenate(parts)
 
     def encode(self, text: str) -> list[int]:
-        return np.frombuffer(self.encode_bytes(text), "<u4").tolist()
+        return self.encode_all(pa.array([text], pa.string()))[0].tolist()
+
+    def decode_bytes(self, ids: np.ndarray) -> bytes:
+        """The decoded text in UTF-8."""
+        data = gather(self.raw_flat, self.raw_starts[ids], self.raw_lens[ids]).tobytes()
+        try:
+            data.decode("utf-8")
+        except UnicodeDecodeError:
+            return self.decode(ids.tolist()).encode()
+        first = next((i for i in ids[:4].tolist() if i not in self.control), None)
+        return data[1:] if first is not None and first not in self.bytes_ and first != self.unknown and data.startswith(b" ") else data
 
     def decode(self, ids: list[int]) -> str:
         """Text of ids: byte pieces join into characters, an ill-formed byte is U+FFFD, the dummy prefix goes."""
@@ -187,12 +279,10 @@ def encode_decode(docs: DataFrame, model_file: str, id_col: str = "doc_id", text
     def run(batches):
         c = codec(model_file)
         for b in slices(batches, most_bytes=4 << 20):
-            n, digests, decoded = [], [], []
-            for t in b.column("text"):
-                data = c.encode_bytes(t.as_py())
-                n.append(len(data) // 4)
-                digests.append(hashlib.sha256(data).hexdigest())
-                decoded.append(hashlib.sha256(c.decode(np.frombuffer(data, "<u4").tolist()).encode()).hexdigest())
+            every = c.encode_all(b.column("text"))
+            n = [len(x) for x in every]
+            digests = [hashlib.sha256(x.astype("<u4").tobytes()).hexdigest() for x in every]
+            decoded = [hashlib.sha256(c.decode_bytes(x)).hexdigest() for x in every]
             yield pa.RecordBatch.from_arrays([b.column("id"), pa.array(n, pa.int64()), pa.array(digests, pa.string()), pa.array(decoded, pa.string())], names=["id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
     kind = docs.schema[id_col].dataType.simpleString()
