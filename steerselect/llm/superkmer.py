@@ -2,11 +2,13 @@
 
 A window is ``size`` consecutive words.  Its minimiser is the least hash of the word m-grams in it, so equal windows
 have equal minimisers.  Consecutive windows that share one occurrence of a minimiser travel as one packed string to the
-minimiser's bucket, where the windows of the bucket are counted exactly, by their words.  Equal windows never share an
-occurrence, not even in periodic text.
+minimiser's bucket, where the bucket's windows are sorted and counted exactly, by their words.  Equal windows never share
+an occurrence, not even in periodic text.
 
 A first pass counts minimisers alone (eight bytes each).  Where one occurs once its windows repeat nowhere, and a
-Bloom filter keeps them from being shipped at all; it is broadcast only up to ``FILTER_BYTES``, else all are shipped.
+Bloom filter keeps most of them from being shipped; its size has a bound, beyond which it lets more of them pass.
+Super-k-mers of the same words are settled where they are read: their windows repeat, so their words are marked in ranges,
+one list for a text, and a single copy travels, for others to be found by.
 Minimisers above a share of all super-k-mers are hot; there are at most ``1 / HOT_SHARE`` of those, whatever the
 corpus.  Their super-k-mers are first counted by their whole words, with map-side combined counts; only distinct ones
 are cut into windows, which are dealt out by their own words.
@@ -16,38 +18,54 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
-
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BoundedCache, slices, text_or_empty, texts, written
+from .common import slices, text_or_empty, texts, written
 
 SIZE, MINI = 35, 4
 HOT_SHARE, HOT_LEAST = 1e-6, 8000
-FILTER_BYTES = 32 << 20
+FILTER_BYTES, RANGE_BYTES = 32 << 20, 1 << 18
 #: Texts that a worker cuts at once; their super-k-mers take several times as much.
 STEP_BYTES = 2 << 20
 
-_hashes = BoundedCache(lambda w: xxhash.xxh64_intdigest(w, 7), 200_000)
-
 
 def words_of(text: str) -> list[bytes]:
     return text.encode("utf-8", "surrogatepass").split()
 
 
+def hashed_words(column: pa.Array) -> list[np.ndarray]:
+    """The hash of each word of each text; different words of the column are hashed once."""
+    split = pc.ascii_split_whitespace(column)
+    coded = split.flatten().dictionary_encode()
+    h = np.array([xxhash.xxh64_intdigest(w, 7) for w in coded.dictionary.cast(pa.binary()).to_pylist()], np.uint64)
+    empty = coded.dictionary.index("").as_py()
+    at, ends = coded.indices.to_numpy(zero_copy_only=False), split.offsets.to_numpy() - split.offsets[0].as_py()
+    out = []
+    for a, b in zip(ends[:-1].tolist(), ends[1:].tolist()):
+        own = at[a:b]
+        out.append(h[own[own != empty] if empty >= 0 else own])
+    return out
+
+
 def super_kmers(words: list[bytes], size: int = SIZE, mini: int = MINI) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(first window, number of windows, minimiser) of each run of windows with one occurrence of a minimiser."""
-    n = len(words) - size + 1
+    return runs_of(np.array([xxhash.xxh64_intdigest(w, 7) for w in words], np.uint64), size, mini)
+
+
+def runs_of(h: np.ndarray, size: int, mini: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The same from the hashes of the words."""
+    n = len(h) - size + 1
     if n < 1:
         return tuple(np.zeros(0, t) for t in (np.int64, np.int64, np.uint64))
-    h = np.fromiter(map(_hashes.__getitem__, words), np.uint64, len(words))
     odd = np.uint64(0x9E3779B97F4A7C15)
-    grams = h[: len(words) - mini + 1].copy()
+    grams = h[: len(h) - mini + 1].copy()
     for k in range(1, mini):  # order matters: multiply, then mix in the next word
-        grams = grams * odd + h[k : len(words) - mini + 1 + k]
+        grams = grams * odd + h[k : len(h) - mini + 1 + k]
     grams ^= grams >> np.uint64(29)
     grams *= np.uint64(0xBF58476D1CE4E5B9)
     grams ^= grams >> np.uint64(32)
@@ -87,123 +105,152 @@ class Bloom:
         return out
 
 
-def _bloom(repeated: DataFrame, count: int) -> Bloom | None:
-    """The filter of a table of hashes ``m``, built from one bitmap for each part of it; None beyond FILTER_BYTES."""
-    size = max(64, count * 10 // 8)
-    if size > FILTER_BYTES:
-        return None
+def _bloom(repeated: DataFrame, count: int) -> Bloom:
+    """The filter of a table of hashes ``m``, ten bits each while that stays within FILTER_BYTES.
+
+    Workers set the bits of one range of bytes each, so the driver gets the filter's bytes and nothing else.
+    """
+    size = min(max(64, count * 10 // 8), FILTER_BYTES)
+    ranges = max(1, -(-size // RANGE_BYTES))
     n = np.uint64(size * 8)
 
-    def bits_of(batches):
-        # bytes touched, with the bits set in them: as many rows as there are probes at most
+    def dealt(batches):
         for b in batches:
             h = b.column("m").to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64)
-            at = np.concatenate(list(Bloom.probes(h, n)))
-            yield pa.RecordBatch.from_arrays([pa.array((at >> np.uint64(3)).astype(np.int64)), pa.array((1 << (at & np.uint64(7)).astype(np.int16)).astype(np.int32))], names=["byte", "bit"])
+            at = np.concatenate(list(Bloom.probes(h, n))).astype(np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(at // (RANGE_BYTES * 8)), pa.array(at)], names=["part", "bit"])
 
-    rows = repeated.mapInArrow(bits_of, "byte long, bit int").groupBy("byte").agg(F.bit_or("bit").alias("bits"))
+    def filled(batches):
+        bits: dict[int, np.ndarray] = {}
+        for b in batches:
+            part, at = (b.column(c).to_numpy(zero_copy_only=False) for c in ("part", "bit"))
+            for k in np.unique(part).tolist():
+                own = bits.setdefault(k, np.zeros(min(RANGE_BYTES, size - k * RANGE_BYTES), np.uint8))
+                x = at[part == k] - k * RANGE_BYTES * 8
+                np.bitwise_or.at(own, x >> 3, (1 << (x & 7)).astype(np.uint8))
+        yield pa.RecordBatch.from_arrays([pa.array(list(bits), pa.int64()), pa.array([x.tobytes() for x in bits.values()], pa.binary())], names=["part", "bits"])
+
+    rows = repeated.mapInArrow(dealt, "part long, bit long").repartition(ranges, "part").mapInArrow(filled, "part long, bits binary")
     bits = np.zeros(size, np.uint8)
-    for b in rows.toArrow().to_batches():  # within FILTER_BYTES
-        bits[b.column("byte").to_numpy()] = b.column("bits").to_numpy()
+    for b in rows.toArrow().to_batches():  # FILTER_BYTES at most
+        for k, x in zip(b.column("part").to_pylist(), b.column("bits").to_pylist()):
+            bits[k * RANGE_BYTES : k * RANGE_BYTES + len(x)] |= np.frombuffer(x, np.uint8)
     return Bloom(bits)
 
 
 def minimisers(docs: DataFrame, size: int, mini: int) -> DataFrame:
     def run(batches):
         for b in slices(batches, most_bytes=STEP_BYTES):
-            got = [super_kmers(words_of(t.as_py()), size, mini)[2] for t in b.column("text")]
-            _hashes.trim()
+            got = [runs_of(h, size, mini)[2] for h in hashed_words(b.column("text"))]
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([np.zeros(0, np.uint64), *got]).view(np.int64))], names=["m"])
 
     return texts(docs, "text").mapInArrow(run, "m long")
 
 
-def packed_runs(docs: DataFrame, repeated: Bloom | None, hot: np.ndarray, size: int, mini: int) -> DataFrame:
-    """(key, at, n, m, hot, words): the super-k-mers whose minimiser may repeat; ``hot`` is in ascending order."""
+def packed_runs(docs: DataFrame, repeated, hot, size: int, mini: int) -> DataFrame:
+    """The super-k-mers whose minimiser may repeat, and what can be settled where they are read.
+
+    A row with words is a super-k-mer (key, at, n, m, hot, words, times); if its words come several times in a batch, one
+    row without a key stands for all of them.  A row with spans lists the ranges (first, last) of repeated words of a key.
+    ``repeated`` and ``hot`` are broadcast: the filter, and hot minimisers in ascending order.
+    """
+    names = ["key", "at", "n", "m", "hot", "words", "times"]
+    kinds = (pa.binary(), pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.binary(), pa.int64())
+    span = pa.list_(pa.struct([("first", pa.int64()), ("last", pa.int64())]))
 
     def run(batches):
+        maybe, warm = repeated.value, hot.value
         for b in slices(batches, most_bytes=STEP_BYTES):
-            cols: list[list] = [[], [], [], [], [], []]
-            for key, t in zip(b.column("key").to_pylist(), b.column("text")):
-                words = words_of(t.as_py())
-                starts, lengths, low = super_kmers(words, size, mini)
+            found: dict[bytes, list[tuple]] = {}  # words -> (key, at, n, m, hot) of all that have them
+            for key, t, h in zip(b.column("key").to_pylist(), b.column("text"), hashed_words(b.column("text"))):
+                starts, lengths, low = runs_of(h, size, mini)
+                on = maybe.holds(low)
+                starts, lengths, low = starts[on], lengths[on], low[on]
                 if not len(starts):
                     continue
-                if repeated is not None:
-                    on = repeated.holds(low)
-                    starts, lengths, low = starts[on], lengths[on], low[on]
-                warm = hot[np.minimum(np.searchsorted(hot, low), len(hot) - 1)] == low if len(hot) else np.zeros(len(low), bool)
+                is_hot = warm[np.minimum(np.searchsorted(warm, low), len(warm) - 1)] == low if len(warm) else np.zeros(len(low), bool)
+                words = words_of(t.as_py())
                 joined = b" ".join(words)
                 ends = np.cumsum([len(w) + 1 for w in words]) - 1
-                begins = np.concatenate(([0], ends[:-1] + 1)).tolist()
-                ends = ends.tolist()
-                for at, n, m, w in zip(starts.tolist(), lengths.tolist(), low.view(np.int64).tolist(), warm.tolist()):
-                    for c, v in zip(cols, (key, at, n, m, w, joined[begins[at] : ends[at + n + size - 2]])):
-                        c.append(v)
-            _hashes.trim()
-            types = (pa.binary(), pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.binary())
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types)], names=["key", "at", "n", "m", "hot", "words"])
-            del cols
+                begins = np.concatenate(([0], ends[:-1] + 1))[starts].tolist()
+                ends = ends[starts + lengths + size - 2].tolist()
+                for i, j, *row in zip(begins, ends, starts.tolist(), lengths.tolist(), low.view(np.int64).tolist(), is_hot.tolist()):
+                    found.setdefault(joined[i:j], []).append((key, *row))
+            cols: list[list] = [[] for _ in names]
+            marked: dict[bytes, list[tuple[int, int]]] = {}
+            for words, rows in found.items():
+                key, at, n, m, w = rows[0]
+                for c, v in zip(cols, (key if len(rows) == 1 else None, at, n, m, w, words, len(rows))):
+                    c.append(v)
+                if len(rows) > 1:
+                    for key, at, n, _, _ in rows:
+                        marked.setdefault(key, []).append((at, at + n + size - 2))
+            for i in range(0, len(cols[0]), 10_000):
+                part = [pa.array(c[i : i + 10_000], t) for c, t in zip(cols, kinds)]
+                yield pa.RecordBatch.from_arrays([*part, pa.nulls(len(part[0]), span)], names=[*names, "spans"])
+            if marked:
+                lists = [[{"first": a, "last": z} for a, z in merged_ranges(x)] for x in marked.values()]
+                yield pa.RecordBatch.from_arrays([pa.array(marked, kinds[0]), *(pa.nulls(len(marked), t) for t in kinds[1:]), pa.array(lists, span)], names=[*names, "spans"])
+            del cols, found, marked
             pa.default_memory_pool().release_unused()
 
-    return texts(docs, "key", "text").mapInArrow(run, "key binary, at long, n long, m long, hot boolean, words binary")
+    return texts(docs, "key", "text").mapInArrow(run, "key binary, at long, n long, m long, hot boolean, words binary, times long, spans array<struct<first: long, last: long>>")
+
+
+def merged_ranges(ranges: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """Ranges joined where they meet."""
+    out: list[tuple[int, int]] = []
+    for a, z in sorted(ranges):
+        if out and a <= out[-1][1] + 1:
+            out[-1] = out[-1][0], max(z, out[-1][1])
+        else:
+            out.append((a, z))
+    return out
 
 
 def repeats_in_buckets(runs: DataFrame, size: int) -> DataFrame:
     """(key, first, last) of word ranges covered by windows that occur more than once in their minimiser's bucket."""
 
     def settle(group: list[tuple]) -> Iterator[tuple]:
-        seen: dict[bytes, bool] = {}  # a window's words -> whether they came more than once
-        by_words: dict[bytes, list[tuple]] = {}
-        for key, at, n, words in group:
-            by_words.setdefault(words, []).append((key, at, n))
-        if len(by_words) == 1 and len(group) > 1:
-            for key, at, n in group_of(by_words):
-                yield key, at, at + n + size - 2
+        """Sorts the windows of a bucket by their words; equal ones are neighbours then."""
+        if len(group) < 2:
             return
-        cut = {}
-        for words, holders in by_words.items():
-            cut[words] = windows = windows_in(words, size)
-            for x in windows:
-                seen[x] = x in seen or len(holders) > 1
-        for words, holders in by_words.items():
-            on = [i for i, x in enumerate(cut[words]) if seen[x]]
-            for i, j in ranges(on):
-                for key, at, _ in holders:
-                    yield key, at + i, at + j + size - 1
-
-    def group_of(by_words):
-        return next(iter(by_words.values()))
-
-    def ranges(on: list[int]) -> Iterator[tuple[int, int]]:
-        start = None
-        for k, i in enumerate(on):
-            start = i if start is None else start
-            if k + 1 == len(on) or on[k + 1] != i + 1:
-                yield start, i
-                start = None
+        windows = sorted((w, r, i) for r, (*_, words, _) in enumerate(group) for i, w in enumerate(windows_in(words, size)))
+        on: dict[int, list[int]] = {}
+        start = 0
+        for k in range(1, len(windows) + 1):
+            if k == len(windows) or windows[k][0] != windows[start][0]:
+                same = windows[start:k]
+                if len(same) > 1 or group[same[0][1]][-1] > 1:
+                    for _, r, i in same:
+                        if group[r][0] is not None:
+                            on.setdefault(r, []).append(i)
+                start = k
+        for r, places in on.items():
+            key, at, *_ = group[r]
+            for a, z in merged_ranges([(at + i, at + i + size - 1) for i in places]):
+                yield key, a, z
 
     def run(batches):
         held: list[tuple] = []
         now = None
         for b in batches:
             out = []
-            for key, at, n, m, words in zip(*(b.column(c).to_pylist() for c in ("key", "at", "n", "m", "words"))):
+            for key, at, m, words, times in zip(*(b.column(c).to_pylist() for c in ("key", "at", "m", "words", "times"))):
                 if m != now:
-                    if len(held) > 1 or held and held[0][2] > 1:
-                        out += settle(held)
+                    out += settle(held)
                     held, now = [], m
-                held.append((key, at, n, words))
+                held.append((key, at, words, times))
             if out:
                 yield batch(out)
-        if held:
-            yield batch(list(settle(held)))
+        if out := list(settle(held)):
+            yield batch(out)
 
     def batch(rows):
-        k, f, t = zip(*rows) if rows else ((), (), ())
+        k, f, t = zip(*rows)
         return pa.RecordBatch.from_arrays([pa.array(k, pa.binary()), pa.array(f, pa.int64()), pa.array(t, pa.int64())], names=["key", "first", "last"])
 
-    spread = runs.filter(~F.col("hot")).select("key", "at", "n", "m", "words").repartition("m").sortWithinPartitions("m")
+    spread = runs.filter(~F.col("hot")).select("key", "at", "m", "words", "times").repartition("m").sortWithinPartitions("m")
     return spread.mapInArrow(run, "key binary, first long, last long")
 
 
@@ -223,8 +270,8 @@ def repeats_of_hot(runs: DataFrame, size: int) -> DataFrame:
     distinct super-k-mers; a super-k-mer has at most ``size`` windows, so lists of them are short.
     """
     run = F.unhex(F.md5("words"))
-    hot = runs.filter("hot").select("key", "at", "n", "words")
-    lines = written(hot.groupBy("words").agg(F.first("n").alias("n"), F.count(F.lit(1)).alias("times")).withColumn("run", run), "hot-runs")
+    hot = runs.filter("hot").select("key", "at", "n", "words", "times")
+    lines = written(hot.groupBy("words").agg(F.first("n").alias("n"), F.sum("times").alias("times")).withColumn("run", run), "hot-runs")
 
     def cut(batches):
         for b in slices(batches, "words", 1 << 20):
@@ -241,8 +288,8 @@ def repeats_of_hot(runs: DataFrame, size: int) -> DataFrame:
     twice = windows.groupBy("window").agg(F.sum("times").alias("n")).filter("n > 1").select("window")
     single = windows.filter("times = 1").join(twice, "window").groupBy("run").agg(F.collect_list(F.struct(F.col("at").alias("first"), F.col("at").alias("last"))).alias("parts"))
     whole = lines.filter("times > 1").select("run", F.array(F.struct(F.lit(0).cast("long").alias("first"), (F.col("n") - 1).alias("last"))).alias("parts"))
-    # each super-k-mer meets one row; a frequent one's partition is split by the adaptive skew join
-    met = hot.select("key", "at", run.alias("run")).join(whole.union(single), "run")
+    # each super-k-mer that is not settled yet meets one row
+    met = hot.filter(F.col("key").isNotNull()).select("key", "at", run.alias("run")).join(whole.union(single), "run")
     part = F.explode("parts").alias("part")
     return met.select("key", "at", part).select("key", (F.col("at") + F.col("part.first")).alias("first"), (F.col("at") + F.col("part.last") + size - 1).alias("last"))
 
@@ -261,11 +308,15 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     distinct, total = counts.agg(F.count(F.lit(1)), F.coalesce(F.sum("n"), F.lit(0))).first()
     limit = max(hot_least, int(total * hot_share))
     hot = np.sort(counts.filter(F.col("n") > limit).select("m").toArrow().column("m").to_numpy().astype(np.int64).view(np.uint64))  # 1 / hot_share at most
-    runs = written(packed_runs(base, _bloom(counts.select("m"), distinct), hot, size, mini), "super-kmers")
+    send = docs.sparkSession.sparkContext.broadcast  # FILTER_BYTES, and 8 bytes for each hot minimiser
+    shipped = written(packed_runs(base, send(_bloom(counts.select("m"), distinct)), send(hot), size, mini), "super-kmers")
+    runs = shipped.filter(F.col("words").isNotNull()).drop("spans")
     found = repeats_in_buckets(runs, size)
     if len(hot):
         found = found.union(repeats_of_hot(runs, size))
-    spans = written(found.groupBy("key").agg(F.collect_list(F.struct("first", "last")).alias("spans")), "spans")
+    lists = found.groupBy("key").agg(F.collect_list(F.struct("first", "last")).alias("spans"))
+    lists = lists.union(shipped.filter(F.col("spans").isNotNull()).select("key", "spans"))
+    spans = written(lists.groupBy("key").agg(F.flatten(F.collect_list("spans")).alias("spans")), "spans")
 
     def cut(batches):
         for b in slices(batches, most_bytes=STEP_BYTES):
@@ -284,13 +335,13 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
             yield pa.RecordBatch.from_arrays([b.column("id"), pa.array(n_words, pa.int64()), pa.array(removed, pa.int64()), pa.array(kept, pa.string())], names=["id", "n_words", "n_removed", "kept"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    # only rows that may have spans are shuffled to meet them; the filter is as bounded as the other
-    may = _bloom(spans.select(F.xxhash64("key").alias("m")), spans.count())
+    # most rows that have no spans are not shuffled to meet any
+    may = send(_bloom(spans.select(F.xxhash64("key").alias("m")), spans.count()))
     rows = base.select("id", "text", "key", F.xxhash64("key").alias("m"))
     schema = f"id {kind}, n_words long, n_removed long, kept string"
 
     def holds(b):
-        return may.holds(b.column("m").to_numpy().view(np.uint64))
+        return may.value.holds(b.column("m").to_numpy().view(np.uint64))
 
     def meeting(batches):
         for b in batches:
@@ -302,11 +353,8 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
             b = b.filter(pa.array(~holds(b)))
             yield from cut([pa.RecordBatch.from_arrays([b.column("id"), b.column("text"), pa.nulls(b.num_rows, none)], names=["id", "text", "spans"])])
 
-    if may is None:
-        out = texts(rows.join(spans, "key", "left"), "id", "text", "spans").mapInArrow(cut, schema)
-    else:
-        met = texts(rows).mapInArrow(meeting, f"id {kind}, text string, key binary, m long").join(spans, "key", "left")
-        out = texts(met, "id", "text", "spans").mapInArrow(cut, schema).union(texts(rows, "id", "text", "m").mapInArrow(plain, schema))
+    met = texts(rows).mapInArrow(meeting, f"id {kind}, text string, key binary, m long").join(spans, "key", "left")
+    out = texts(met, "id", "text", "spans").mapInArrow(cut, schema).union(texts(rows, "id", "text", "m").mapInArrow(plain, schema))
     return out.withColumnRenamed("id", id_col)
 
 
