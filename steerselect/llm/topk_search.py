@@ -1,7 +1,7 @@
 """Exact top-k inner products over norm-sorted vectors with partial sums and Cauchy-Schwarz bounds.
 
 Integer vectors are rotated by singular vectors so that the first coordinates hold most of every inner product.  A task
-takes its vectors by descending length.  Once length times query length falls below a query's k-th score, the rest are
+takes its vectors by descending length, chunk by chunk.  Once length times query length falls below a query's k-th score, the rest of the chunk is
 done; before that, the sum over the first coordinates plus the product of the residual lengths bounds a score, and only
 vectors whose bound reaches the k-th score get their exact integer product.
 
@@ -73,7 +73,7 @@ class Block:
             if not len(alive):
                 break
             bound = self.rotated[alive, :HEAD] @ turned[part, :HEAD].T + np.outer(self.rest[alive], rest[part]) + slack[alive, None]
-            may = (bound >= self.floor[alive, None]) & (self.ids[alive, None] != ids[None, part])
+            may = bound >= self.floor[alive, None]
             for row in np.flatnonzero(may.any(1)):
                 n, at = alive[row], np.flatnonzero(may[row]) + i
                 score = x[at] @ self.q[n]  # integers below 2**53: exact
@@ -91,16 +91,20 @@ class Block:
 def exact_top_k(table: DataFrame, is_query: Column, k: int = 10, id_col: str = "vec_id", vector: str = "embedding", scale: int = 1024) -> DataFrame:
     """(query_id, rank, vec_id, score): each query's k highest integer inner products, ties to the smaller id.
 
-    Candidates are all rows but those with the query's own id.  Rows with a null id, or whose vector is null or holds a
-    null or non-finite component, take no part; shorter vectors end in zeros; fewer than k candidates give fewer rows.
-    Where a query's id repeats, its smallest vector asks.  Scores are exact below 2**53.  No queries: an empty result.
+    Every query row asks, and its candidates are all rows but itself, others of its id included; repeated query rows give
+    repeated results.  Rows with a null id, or whose vector is null or holds a null or non-finite component, take no part;
+    shorter vectors end in zeros; fewer than k candidates give fewer rows; other columns are ignored.  Scores are exact
+    below 2**53.  No queries: an empty result.
     """
     spark = table.sparkSession
     vectors = scaled(table, id_col, vector, scale)
-    queries = written(scaled(table.filter(is_query), id_col, vector, scale).groupBy("id").agg(F.min("v").alias("v")), "queries")
+    # equal rows ask once; their numbers are written, so every reader sees the same ones
+    asked = scaled(table.filter(is_query), id_col, vector, scale).groupBy("id", "v").agg(F.count(F.lit(1)).alias("times"))
+    own = F.aggregate("v", F.lit(0).cast("long"), lambda a, x: a + x * x)
+    queries = written(asked.select(F.monotonically_increasing_id().alias("q"), "id", "v", "times", own.alias("own")), "queries")
     dims = vectors.agg(F.max(F.size("v"))).first()[0] or 0
     total = queries.count()
-    schema = "query_id long, vec_id long, score long"
+    schema = "q long, vec_id long, score long"
     parts: list[DataFrame] = []
     if total and dims:
         square = F.aggregate("v", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double"))
@@ -111,10 +115,10 @@ def exact_top_k(table: DataFrame, is_query: Column, k: int = 10, id_col: str = "
         rotation = np.linalg.svd(fit_x, full_matrices=True)[2].T if len(fit_x) <= dims else np.linalg.eigh(fit_x.T @ fit_x)[1][:, ::-1]
         blocks = -(-total // QUERY_BLOCK)
         for n in range(blocks):
-            held = queries.filter(F.pmod(F.xxhash64("id"), F.lit(blocks)) == n).toArrow().combine_chunks()  # about QUERY_BLOCK rows
+            held = queries.filter(F.pmod(F.xxhash64("q"), F.lit(blocks)) == n).toArrow().combine_chunks()  # about QUERY_BLOCK rows
             if not held.num_rows:
                 continue
-            block = Block(held.column("id").to_numpy(), matrix(held.column("v").combine_chunks(), dims), rotation, k)
+            block = Block(held.column("q").to_numpy(), matrix(held.column("v").combine_chunks(), dims), rotation, k + 1)
             block.search(fit_ids, fit_x, rotation, None)  # first floors
             parts.append(vectors.mapInArrow(_searcher(spark.sparkContext.broadcast((block, rotation)), dims), schema))
     if not parts:
@@ -122,9 +126,15 @@ def exact_top_k(table: DataFrame, is_query: Column, k: int = 10, id_col: str = "
     found = parts[0]
     for p in parts[1:]:
         found = found.union(p)
-    order = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
-    ranked = found.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k)
-    return ranked.select("query_id", "rank", "vec_id", "score")
+    # one more than k are found, the query's own row among them if it is that near; one entry like it goes
+    order = Window.partitionBy("q").orderBy(F.col("score").desc(), "vec_id")
+    first = found.withColumn("nth", F.row_number().over(order)).filter(F.col("nth") <= k + 1).join(queries.select("q", "id", "times", "own"), "q")
+    mine = ((F.col("vec_id") == F.col("id")) & (F.col("score") == F.col("own"))).cast("int")
+    so_far = order.rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    seen = first.withColumn("mine", mine).withColumn("seen", F.sum("mine").over(so_far)).filter("not (mine = 1 and seen = 1)")
+    ranked = seen.withColumn("rank", F.col("nth") - F.least(F.col("seen"), F.lit(1)).cast("int")).filter(F.col("rank") <= k)
+    again = F.explode(F.sequence(F.lit(1).cast("long"), F.col("times"))).alias("again")
+    return ranked.select(F.col("id").alias("query_id"), "rank", "vec_id", "score", again).drop("again")
 
 
 def _searcher(shared, dims: int):
@@ -146,6 +156,6 @@ def _searcher(shared, dims: int):
         if best:
             n = [len(s) for s, _ in best]
             score, vec = np.concatenate([s for s, _ in best]), np.concatenate([v for _, v in best])
-            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(block.ids, n)), pa.array(vec.astype(np.int64)), pa.array(score.astype(np.int64))], names=["query_id", "vec_id", "score"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(block.ids, n)), pa.array(vec.astype(np.int64)), pa.array(score.astype(np.int64))], names=["q", "vec_id", "score"])
 
     return run

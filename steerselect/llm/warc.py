@@ -180,7 +180,8 @@ def read_archives(manifest: DataFrame, folder: str, keep_payload: bool = True) -
         return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names=fields)
 
     schema = ", ".join(f"{f} {'long' if f == 'payload_bytes' else 'binary' if f == 'payload' else 'string'}" for f in fields)
-    spread = manifest.select("path").repartition(F.col("path"))
+    # a task for each file: a count that is given is not coalesced away
+    spread = manifest.select("path").repartition(max(1, manifest.count()), F.col("path"))
     return spread.mapInArrow(run, schema)
 
 

@@ -217,6 +217,75 @@ def test_top_k(spark):
     assert topk_search.exact_top_k(df.limit(0), F.lit(True)).count() == 0
 
 
+def test_top_k_takes_rows_of_repeated_ids(spark):
+    r = np.random.default_rng(8)
+    x = r.integers(-3, 4, (60, 5)).astype(float)
+    x[1], x[2] = x[0], -x[0]
+    ids = [100, 100, 100, *(int(i) for i in r.integers(0, 30, 57) * 10)]
+    df = spark.createDataFrame([(i, v.tolist(), "z", 1.0) for i, v in zip(ids, x)], "vec_id long, embedding array<double>, id string, score double")
+    got = collections.Counter((q.query_id, q["rank"], q.vec_id, q.score) for q in topk_search.exact_top_k(df, F.col("vec_id") % 100 == 0, k=4).collect())
+    want = collections.Counter()
+    ints = (1024 * x).astype(np.int64)
+    for n, i in enumerate(ids):
+        if i % 100 == 0:
+            s = ints @ ints[n]
+            for k, (v, j) in enumerate(sorted((-int(s[m]), ids[m]) for m in range(60) if m != n)[:4]):
+                want[(i, k + 1, j, -v)] += 1
+    assert got == want
+
+
+def test_a_reader_task_for_each_archive(spark):
+    df = spark.createDataFrame([(f"/nowhere/{i}", 1, 1) for i in range(40)], "path string, captures long, bytes long")
+    assert warc.read_archives(df, "file:///nowhere").rdd.getNumPartitions() == 40
+
+
+def test_words_of_any_letters_are_packed_right():
+    import pyarrow as pa
+    from tokenizers import Tokenizer
+
+    r, file = np.random.default_rng(1), vocabulary("word_bpe_49k.json")
+    tok, enc = Tokenizer.from_file(file), packing.WordEncoder(file)
+    parts = [*"abcIJKéÉßÇİıŸſµª²¼019 .,;:!?'-_&%$\n\t\r\x1c\x85\xa0\xad\x01Ωдあ", "'s", "'T", "İ!", "İ.", "<|endoftext|>", "can't."]
+    texts = ["".join(r.choice(parts, r.integers(0, 50))) for _ in range(1500)] + ["ÇİÇEKLİ.", "", "a" * 3000]
+    for t, ids in zip(texts, enc.encode_all(pa.array(texts))):
+        assert ids.tolist() == tok.encode(t, add_special_tokens=False).ids
+
+
+def test_prefix_tables_agree_with_the_library():
+    import sentencepiece
+
+    file = vocabulary("piece_bpe_32k.model")
+    lib, c, r = sentencepiece.SentencePieceProcessor(model_file=file), piece_codec.PieceCodec(file), np.random.default_rng(2)
+    parts = [*"abcdeéıİ▁ \n\t\r019.,;'-&$\x00\xa0日€𝄞д", "  ", " \n", "\n ", "<s>", "<0x0A>", "the ", "tion"]
+    for t in ["".join(r.choice(parts, r.integers(0, 50))) for _ in range(1500)]:
+        ids = lib.encode(t, add_bos=True, add_eos=True)
+        assert c.encode(t) == ids and c.decode_bytes(np.array(ids)).decode() == lib.decode(ids)
+    some = r.choice(sorted(c.halves), (1500, 2))
+    assert all(c._fits(c.plain[a] << 20 | c.plain[b]) == (c.merged(a + b) == [a, b]) for a, b in some.tolist())
+
+
+@pytest.mark.parametrize("how", [{}, {"tile": 4}, {"tile_hashes": 300}])
+def test_regions_of_several_tiles_lose_no_link(spark, how):
+    r = np.random.default_rng(11)
+    docs = []
+    for g in range(3):
+        base = text_of(900 + g, 80).split()
+        for k in range(14):
+            w = list(base)
+            for at in r.integers(0, len(w), k // 4 + g):
+                w[at] = f"n{g}x{k}"
+            docs.append((len(docs), " ".join(w)))
+    sets = {i: {" ".join(w[k : k + 5]) for k in range(len(w) - 4)} for i, t in docs for w in [t.split()]}
+    root = {i: i for i in sets}
+    for _ in sets:
+        for a in sets:
+            for b in sets:
+                if 10 * len(sets[a] & sets[b]) >= 8 * len(sets[a] | sets[b]):
+                    root[a] = root[b] = min(root[a], root[b])
+    got = {x.node: x.root for x in similar.similar_groups(spark.createDataFrame(docs, "doc_id long, text string"), **how).collect()}
+    assert {i: got.get(i, i) for i in sets} == root
+
+
 def test_surrogates(spark, odd, empty):
     t = 'mail Ann.42@Mail3.example.com or ann.42@mail3.example.com, "+1 (275) 555-5927", 8.20.209.178; card 4539 1488 0343 6467, not 1234567890123456; token = "9233A8ECF7C5B09FE5949719B6B82BC439E9329B" Frau Anna Schmidt, Herr Schmidt'
     new, log = pii.replaced(t, b"key", {})
