@@ -6,13 +6,18 @@ name keeps its title, gender and script.  The same entity, however it is written
 different entities get different ones.  That is checked: surrogates are a function of (key, type, entity, attempt), and
 every entity whose surrogate meets another's, or is itself an entity of the corpus, moves to its next attempt until
 none meet.  Only those few exceptions travel to the texts.
+
+A person's names are entities of their own: a family name has one surrogate whoever bears it, and a given name is told
+from the others of its family name.  So a collision moves one name and no other.  Within a text a title that shows the
+gender speaks for every mention of the same full name, and names that follow a title once are replaced wherever they
+stand again without one.
 """
 
 from __future__ import annotations
 
+import bisect
 import hashlib
 import re
-from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
@@ -55,7 +60,7 @@ PATTERNS = {
     "card": r"(?P<card>(?<![\w.\-])\d(?:[ \-]?\d){12,18})(?![\w\-])",
     "person": r"(?<!\w)(?P<title>"
     + "|".join(map(re.escape, _names))
-    + r")\.?[ ](?P<person>[^\W\d_a-zа-я][^\W\d_A-ZА-Я]+(?:[ \-][^\W\d_a-zа-я][^\W\d_A-ZА-Я]+){0,2})(?!\w)",
+    + r")\.?[ ](?P<person>(?:[OD]['’])?[^\W\d_a-zа-я][^\W\d_A-ZА-Я]+(?:[ \-](?:[OD]['’])?[^\W\d_a-zа-я][^\W\d_A-ZА-Я]+){0,2})(?!\w)",
 }
 FIND = re.compile("|".join(PATTERNS.values()))
 #: Every entity holds a digit or an at sign, or follows a title; only the surroundings of these marks are searched.
@@ -77,12 +82,45 @@ def script_of(name: str) -> str:
     return "cyrillic" if re.search("[Ѐ-ӿ]", name) else "latin"
 
 
-def entities(text: str) -> Iterator[tuple[int, int, str, str]]:
+def entities(text: str) -> list[tuple[int, int, str, str]]:
     """(start, stop, type, canonical form) of the entities of a text, from left to right."""
-    for lo, hi in surroundings(text):
-        for m in FIND.finditer(text, lo, hi):
-            if (found := canonical(text, m)) is not None:
-                yield found
+    found = [x for lo, hi in surroundings(text) for m in FIND.finditer(text, lo, hi) if (x := canonical(text, m)) is not None]
+    return with_mentions(text, found) if any(k.startswith("person:") for _, _, k, _ in found) else found
+
+
+def with_mentions(text: str, found: list[tuple[int, int, str, str]]) -> list[tuple[int, int, str, str]]:
+    """The entities with one gender for each full name, and with later mentions of names that bear no title."""
+    gender: dict[str, str] = {}
+    people: dict[str, str] = {}  # a full or family name as written -> its type
+    for start, stop, kind, canon in found:
+        if kind.startswith("person:"):
+            _, g, script = kind.split(":")
+            gender[canon] = g if gender.get(canon, "x") == "x" else gender[canon]
+            name = text[start:stop]
+            people.setdefault(name, kind)
+            people.setdefault(name.rpartition(" ")[2], f"person:x:{script}")
+    taken = [(a, z) for a, z, _, _ in found]
+    more = []
+    for m in re.finditer(r"(?<!\w)(?:" + "|".join(map(re.escape, sorted(people, key=len, reverse=True))) + r")(?!\w)", text):
+        at = bisect.bisect_left(taken, (m.end(), 0))
+        if at == 0 or taken[at - 1][1] <= m.start():
+            more.append((*m.span(), people[m[0]], m[0].casefold()))
+    out = []
+    for start, stop, kind, canon in sorted(found + more):
+        if kind.startswith("person:") and canon in gender:
+            kind = f"person:{gender[canon]}:{kind.split(':')[2]}"
+        out.append((start, stop, kind, canon))
+    return out
+
+
+def names_of(kind: str, canon: str) -> list[tuple[str, str]]:
+    """The (type, canonical form) pairs that have a surrogate each: a person's names, or the entity itself."""
+    if not kind.startswith("person:"):
+        return [(kind, canon)]
+    _, gender, script = kind.split(":")
+    words = re.split("[ -]", canon)
+    family = [(f"family:{script}", w) for w in words[max(0, min(1, len(words) - 1)) :]]
+    return [(f"given:{gender}:{script}:{words[-1]}", words[0])] * (len(words) > 1) + family
 
 
 def surroundings(text: str) -> list[tuple[int, int]]:
@@ -154,15 +192,12 @@ def surrogate(key: bytes, kind: str, canon: str, attempt: int = 0) -> str:
     """The surrogate of a canonical form, itself canonical.  Its first attempts keep the length; later ones grow it."""
     draw = Keyed(key, kind, canon, attempt)
     more = "".join(str(draw.below(10)) for _ in range(max(0, attempt - 8)))
-    if kind.startswith("person:"):
-        _, gender, script = kind.split(":")
-        words = re.split("([ -])", canon)
-        names = []
-        for i, word in enumerate(words[::2]):  # each word by itself: a surname alone gets what it gets after a given name
-            given = i == 0 and len(words) > 1
-            own = Keyed(key, f"given:{gender}:{script}" if given else f"family:{script}", word, attempt)
-            names.append(own.of(GIVEN[script, gender]) if given else "".join(own.of(SYLLABLES[script]) for _ in range(3 + attempt // 4)))
-        return "".join(x for pair in zip(names, [*words[1::2], ""]) for x in pair).casefold()
+    if kind.startswith("family:"):
+        script = kind.split(":")[1]
+        return "".join(draw.of(SYLLABLES[script]) for _ in range(3 + attempt // 2))
+    if kind.startswith("given:"):  # beyond a few attempts the name grows, so any number of bearers finds one
+        _, gender, script, _ = kind.split(":", 3)
+        return (draw.of(GIVEN[script, gender]) + "".join(draw.of(SYLLABLES[script]) for _ in range(attempt // 2))).casefold()
     if kind == "email":
         local, _, host = canon.partition("@")
         name, _, top = host.rpartition(".")
@@ -178,7 +213,7 @@ def surrogate(key: bytes, kind: str, canon: str, attempt: int = 0) -> str:
         return f"{canon[:2]}{98 - iban_sum(canon[:2] + '00' + body):02d}{body}"
     if kind == "phone":
         keep = max(0, len(canon) - 10)  # the country's digits
-        return canon[:keep] + str(2 + draw.below(8)) + "".join(str(draw.below(10)) for _ in canon[keep + 1 :])
+        return canon[:keep] + str(2 + draw.below(8)) + "".join(str(draw.below(10)) for _ in canon[keep + 1 :]) + more[: 15 - len(canon)]
     if kind == "secret":
         hexa = re.fullmatch("[0-9a-f]+", canon)
         head = "akia" if canon.startswith("akia") else ""
@@ -206,7 +241,11 @@ def replaced(text: str, key: bytes, attempts: dict[tuple[str, str], int]) -> tup
     out, at, log = [], 0, []
     for start, stop, kind, canon in entities(text):
         found = text[start:stop]
-        new = rendered(found, kind, surrogate(key, kind, canon, attempts.get((kind, canon), 0)))
+        names = [surrogate(key, k, c, attempts.get((k, c), 0)) for k, c in names_of(kind, canon)]
+        if kind.startswith("person:"):
+            new = rendered(found, kind, "".join(x for pair in zip(names, [*re.findall("[ -]", canon), ""]) for x in pair))
+        else:
+            new = rendered(found, kind, names[0])
         out += (text[at:start], new)
         log.append((kind.split(":")[0], found, new))
         at = stop
@@ -216,7 +255,7 @@ def replaced(text: str, key: bytes, attempts: dict[tuple[str, str], int]) -> tup
 def distinct_entities(docs: DataFrame, text_col: str) -> DataFrame:
     def run(batches):
         for b in slices(batches):
-            seen = {(kind, canon) for t in b.column("text") for _, _, kind, canon in entities(t.as_py())}
+            seen = {x for t in b.column("text") for _, _, kind, canon in entities(t.as_py()) for x in names_of(kind, canon)}
             if seen:
                 yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*seen)], names=["kind", "canon"])
 
@@ -287,7 +326,7 @@ def _with_attempts(docs: DataFrame, taken: DataFrame, text_col: str, extra: str)
 
     def run(batches):
         for b in slices(batches):
-            rows = {(h, kind, canon) for h, t in zip(b.column("h").to_pylist(), b.column("text")) for _, _, kind, canon in entities(t.as_py())}
+            rows = {(h, *x) for h, t in zip(b.column("h").to_pylist(), b.column("text")) for _, _, kind, canon in entities(t.as_py()) for x in names_of(kind, canon)}
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*rows)], names=["h", "kind", "canon"])
 

@@ -301,6 +301,26 @@ def test_surrogates(spark, odd, empty):
     assert pii.replace_entities(empty).count() == 0
 
 
+def test_names_keep_their_bearers(spark):
+    """Distinct people stay distinct, and a family name has one surrogate, whatever collides."""
+    given = [f"{a}{b}" for a in ("Anna", "Berta", "Carla", "Dora", "Erika", "Frida") for b in ("", "lie", "bel", "rose", "line")]
+    family = [f"{a}{b}" for a in ("Schmidt", "Keller", "Vogel", "Braun") for b in ("", "er", "mann")]
+    docs = [(i, f"Frau {g} {f} came. Later {f} left, and {g} {f} too. Dr {g} {f} wrote.") for i, (g, f) in enumerate((g, f) for g in given for f in family)]
+    docs += [(1000, "Mr O'Neil met Herr Schmidt."), (1001, None), (1002, "Anna Schmidt is named by nobody")]
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    got = {r.doc_id: r for r in pii.replace_entities(df, key=b"k", log_col="log").collect()}
+    full, last = {}, {}
+    for i, (g, f) in enumerate((g, f) for g in given for f in family):
+        log = [(x.found, x.surrogate) for x in got[i].log]
+        assert [x[0] for x in log] == [f"{g} {f}", f, f"{g} {f}", f"{g} {f}"] and len({x[1] for x in log if " " in x[0]}) == 1
+        assert log[0][1].split()[1] == log[1][1]
+        full[f"{g} {f}"] = log[0][1]
+        last.setdefault(f, set()).add(log[1][1])
+    assert len(set(full.values())) == len(full) and all(len(x) == 1 for x in last.values()) and len(set.union(*last.values())) == len(family)
+    assert not set(full.values()) & set(full) and "O'Neil" not in got[1000].text and got[1000].log[1].surrogate in last["Schmidt"]
+    assert got[1001].text is None and got[1002].text == "Anna Schmidt is named by nobody"
+
+
 def test_surrogates_stay_distinct(spark, monkeypatch):
     df = spark.createDataFrame([(i, f"write to {c}{d}@b.co") for i, (c, d) in enumerate((c, d) for c in "abcdefghij" for d in range(10))], "doc_id long, text string")
     first = pii.replace_entities(df, log_col="log").select("doc_id", "text", F.col("log")[0]["surrogate"].alias("s")).collect()
