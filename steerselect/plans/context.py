@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import tokens as T
-from ..operators import corpus, lm_count
+from ..operators import corpus, lm_count, lm_step
 from ..sources.tables import read
 
 V, SCORE_LEN, BUFFER, RATIO, TAU, SEED, SKETCH, PROXY = 32, 512, 64, 0.5, 0.9, 42, 64, 8
@@ -91,11 +91,18 @@ class Tables:
         cells = lm_count.grid(self.docs, V).join(F.broadcast(g), ["x", "y"], "left")
         return cells.select("x", "y", (F.lit(SCALE) / (F.abs(F.coalesce("g", F.lit(0.0))) + F.lit(EPS))).alias("f"))
 
+    def step_scores(self, with_phi: bool = False) -> DataFrame:
+        """(step, doc_id, plain, shaped, muon, sketched, plain_sketched, redundancy): all scores of candidates, in one pass."""
+        prefix = T.tokenized(self.docs, V, limit=SCORE_LEN).select("doc_id", "toks")
+        own = self.buffers.join(prefix, "doc_id")
+        beside = self.proxy_batch.join(prefix.filter(corpus.split_of("doc_id", SEED) == "val"), "doc_id")
+        model = lm_step.counted(self.tok.filter(corpus.split_of("doc_id", SEED) == "train"))
+        return lm_step.step_pass(own, beside, model, V, SKETCH, ALPHA, SCALE, EPS, SEED, with_phi=with_phi)
+
     @cached_property
     def alignment(self) -> DataFrame:
         """(step, doc_id, score): first-order gain of a candidate's AdamW-shaped update, by the pair-score rewrite."""
-        v = self.proxy_gradient.join(F.broadcast(self.past), ["x", "y"]).select("step", "x", "y", (F.col("g") * F.col("f")).alias("v"))
-        return lm_count.direction_scores(self.candidates, self.lm, all_cells(self, v), ["step"])
+        return self.step_scores().select("step", "doc_id", F.col("shaped").alias("score"))
 
     @cached_property
     def utility(self) -> DataFrame:
@@ -121,13 +128,6 @@ def whole_scored(t: Tables) -> DataFrame:
     return whole_nll(t).join(t.tok.select("doc_id", "n_words"), "doc_id").join(t.split.filter("split = 'train'"), "doc_id").select("doc_id", F.round(-F.col("nll"), 9).alias("score"), "n_words")
 
 
-def all_cells(t: Tables, v: DataFrame) -> DataFrame:
-    """``v`` with a zero for every cell of a step that it does not name."""
-    steps = t.buffers.select("step").distinct()
-    cells = steps.crossJoin(lm_count.grid(t.docs, V))
-    return cells.join(v, ["step", "x", "y"], "left").select("step", "x", "y", F.coalesce("v", F.lit(0.0)).alias("v"))
-
-
 H28 = "('0x' || substr(md5({0}), 1, 7))::BIGINT"
 
 #: Definitions of the same tables for another SQL engine; each may use those before it.

@@ -158,8 +158,7 @@ def alignment(t: Tables) -> DataFrame:
 @query("utility_full", with_tables(f"SELECT step, doc_id, round({LR} * score, 5) + 0.0 AS utility FROM uraw", "uraw"))
 def utility_full(t: Tables) -> DataFrame:
     """Plain geometry, before any pick: exact products without a sketch."""
-    u = lm_count.direction_scores(t.candidates, t.lm, C.all_cells(t, t.proxy_gradient.withColumnRenamed("g", "v")), ["step"])
-    return u.select("step", "doc_id", (F.round(LR * F.col("score"), 5) + F.lit(0.0)).alias("utility"))
+    return t.step_scores().select("step", "doc_id", (F.round(LR * F.col("plain"), 5) + F.lit(0.0)).alias("utility"))
 
 
 HISTORY = "SELECT step, x, y, sum(g) AS h FROM buf JOIN grad USING (doc_id) WHERE slot < 4 GROUP BY step, x, y"
@@ -168,12 +167,7 @@ HISTORY = "SELECT step, x, y, sum(g) AS h FROM buf JOIN grad USING (doc_id) WHER
 @query("redundancy", with_tables(f"SELECT step, doc_id, round({LR * LR} * sum(c.g * coalesce(h, 0)), 6) + 0.0 AS redundancy FROM buf JOIN grad c USING (doc_id) LEFT JOIN hist USING (step, x, y) GROUP BY step, doc_id", "buf", "grad", hist=HISTORY))
 def redundancy(t: Tables) -> DataFrame:
     """The penalty of each candidate against a history: the sum of the first four candidates' updates."""
-    first = t.prefix_pairs.join(t.buffers.filter("slot < 4").select("step", "doc_id"), "doc_id")
-    mean = lm_count.mean_gradient(first, t.lm, ["step"])
-    n = first.select("step", "doc_id").distinct().groupBy("step").agg(F.count(F.lit(1)).alias("n"))
-    v = mean.join(F.broadcast(n), "step").select("step", "x", "y", (F.col("g") * F.col("n")).alias("v"))
-    out = lm_count.direction_scores(t.candidates, t.lm, C.all_cells(t, v), ["step"])
-    return out.select("step", "doc_id", r6(LR * LR * F.col("score")).alias("redundancy"))
+    return t.step_scores().select("step", "doc_id", r6(LR * LR * F.col("redundancy")).alias("redundancy"))
 
 
 BUCKET, SIGN = sketch.sql_bucket(f"x * {V} + y", SKETCH, SEED)
@@ -208,10 +202,8 @@ def proxy_sketch(t: Tables) -> DataFrame:
 
 @query("utility_sketched", with_tables(f"SELECT step, doc_id, round({LR} * sum(c.val * coalesce(q.val, 0)), 4) + 0.0 AS utility FROM buf JOIN ck c USING (doc_id) LEFT JOIN pk q USING (step, bucket) GROUP BY step, doc_id", "buf", "grad", "past", "gp", ck=CAND_SK, pk=PROXY_SK))
 def utility_sketched(t: Tables) -> DataFrame:
-    q = _proxy_sketch(t).withColumnRenamed("val", "q")
-    rows = _cand_sketch(t).join(t.buffers.select("step", "doc_id"), "doc_id").join(F.broadcast(q), ["step", "bucket"], "left")
-    u = rows.groupBy("step", "doc_id").agg((LR * F.sum(F.col("val") * F.coalesce("q", F.lit(0.0)))).alias("u"))
-    return u.select("step", "doc_id", (F.round("u", 4) + F.lit(0.0)).alias("utility"))
+    """The product of sketches; each candidate meets the proxy's sketch as a direction, so its own is never made."""
+    return t.step_scores().select("step", "doc_id", (F.round(LR * F.col("sketched"), 4) + F.lit(0.0)).alias("utility"))
 
 
 @query("proxy_batch", with_tables("SELECT step, k, doc_id FROM pbatch", "pbatch"))
@@ -236,9 +228,7 @@ def pick_gumbel(t: Tables) -> DataFrame:
 
 
 def _features(t: Tables) -> DataFrame:
-    phi = _cand_sketch(t).groupBy("doc_id").agg(F.map_from_entries(F.collect_list(F.struct("bucket", "val"))).alias("m"))
-    dense = phi.select("doc_id", F.transform(F.sequence(F.lit(0).cast("long"), F.lit(SKETCH - 1).cast("long")), lambda b: F.coalesce(F.col("m")[b], F.lit(0.0))).alias("phi"))
-    return t.alignment.withColumnRenamed("score", "align").join(dense, "doc_id").select("step", "doc_id", "align", "phi")
+    return t.step_scores(with_phi=True).select("step", "doc_id", F.col("shaped").alias("align"), "phi")
 
 
 def _picked(policy: str, penalty: bool = True, local: bool = False):

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from ..functions import tokens as T
 from ..operators import corpus, lm_count, measures, pick
 from .context import ALPHA, BUFFER, H28, LR, RATIO, SEED, SKETCH, TAU, V, Tables, r6, whole_nll, with_tables
-from .core_queries import BUCKET, SIGN, TOP, _proxy_sketch
+from .core_queries import BUCKET, SIGN, TOP
 from .proxy_queries import raw_scores
 from .registry import query
 
@@ -190,12 +190,7 @@ def cpt_breakdown_whole(t: Tables) -> DataFrame:
 @query("sketch_error", with_tables(f"SELECT count(*) AS n, round(avg(e), 4) + 0.0 AS bias, round(stddev_samp(e), 4) + 0.0 AS sd, round(corr(score, s), 3) + 0.0 AS correlation FROM (SELECT score, s, s - score AS e FROM uraw JOIN (SELECT step, doc_id, sum(c.val * coalesce(q.val, 0)) AS s FROM buf JOIN ck c USING (doc_id) LEFT JOIN pk q USING (step, bucket) GROUP BY 1, 2) USING (step, doc_id))", "uraw", ck=f"SELECT doc_id, {BUCKET} AS bucket, sum({SIGN} * g) AS val FROM grad GROUP BY 1, 2", pk=f"SELECT step, {BUCKET} AS bucket, sum({SIGN} * g) AS val FROM gp GROUP BY 1, 2"))
 def sketch_error(t: Tables) -> DataFrame:
     """Sketched against exact products in the plain geometry."""
-    from ..operators import sketch
-
-    g = lm_count.gradient(t.candidates.drop("step"), t.lm).withColumn("i", F.col("x") * V + F.col("y"))
-    cand = sketch.sketch_rows(g, ["doc_id"], "i", F.col("g"), SKETCH, SEED).join(t.buffers.select("step", "doc_id"), "doc_id")
-    s = cand.join(F.broadcast(_proxy_sketch(t).withColumnRenamed("val", "q")), ["step", "bucket"], "left").groupBy("step", "doc_id").agg(F.sum(F.col("val") * F.coalesce("q", F.lit(0.0))).alias("s"))
-    e = raw_scores(t).join(s, ["step", "doc_id"]).withColumn("e", F.col("s") - F.col("score"))
+    e = t.step_scores().select(F.col("plain").alias("score"), F.col("plain_sketched").alias("s"), (F.col("plain_sketched") - F.col("plain")).alias("e"))
     r = lambda c, n: F.round(c, n) + F.lit(0.0)
     return e.agg(F.count(F.lit(1)).alias("n"), r(F.avg("e"), 4).alias("bias"), r(F.stddev_samp("e"), 4).alias("sd"), r(F.corr("score", "s"), 3).alias("correlation"))
 

@@ -99,9 +99,7 @@ def base_high_loss(t: Tables) -> DataFrame:
 
 
 def raw_scores(t: Tables) -> DataFrame:
-    from .context import all_cells
-
-    return lm_count.direction_scores(t.candidates, t.lm, all_cells(t, t.proxy_gradient.withColumnRenamed("g", "v")), ["step"])
+    return t.step_scores().select("step", "doc_id", F.col("plain").alias("score"))
 
 
 @query("base_raw_grad", with_tables(TOP.format(key="round(score, 9)", src="uraw", ratio=RATIO), "uraw"))

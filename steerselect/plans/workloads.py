@@ -246,11 +246,13 @@ def w11(t: Tables) -> Rows:
 
 @query("w12_optimizers")
 def w12(t: Tables) -> Rows:
-    """Rank correlation of plain and AdamW-shaped scores, by step."""
-    met = raw_scores(t).withColumnRenamed("score", "a").join(t.alignment.withColumnRenamed("score", "b"), ["step", "doc_id"])
+    """Rank correlation of plain, AdamW-shaped and Muon-shaped scores, by step: every two of one pass's columns."""
+    met = stored(t.step_scores().select("step", "plain", F.col("shaped").alias("adamw"), "muon"), "scores")
     w = Window.partitionBy("step")
-    ranked = met.select("step", F.rank().over(w.orderBy("a")).alias("ra"), F.rank().over(w.orderBy("b")).alias("rb"))
-    return tidy(ranked.groupBy("step").agg(F.corr("ra", "rb").alias("c")), "plain and adamw", "spearman", "rank correlation", F.col("step"), "c")
+    ranked = met.select("step", *(F.rank().over(w.orderBy(k)).alias(k) for k in ("plain", "adamw", "muon")))
+    pairs = (("plain", "adamw"), ("plain", "muon"), ("adamw", "muon"))
+    c = ranked.groupBy("step").agg(*(F.corr(a, b).alias(f"{a} and {b}") for a, b in pairs))
+    return union([tidy(c, f"{a} and {b}", "spearman", "rank correlation", F.col("step"), f"{a} and {b}") for a, b in pairs])
 
 
 @query("w13_vector_retrieval")
