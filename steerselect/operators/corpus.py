@@ -33,6 +33,29 @@ def global_rank(df: DataFrame, order: Column, tie: str, name: str, digits: int =
     return keyed.withColumn("_k", inside).join(F.broadcast(offsets), "_r").withColumn(name, F.col("_k") + F.col("_b")).drop("_o", "_r", "_k", "_b")
 
 
+def running_total(df: DataFrame, order: Column, tie: str, value: str, name: str, digits: int = 3) -> DataFrame:
+    """The running total of ``value`` by (order, tie), without one task that sees all rows; ``order`` as for ``global_rank``."""
+    keyed = df.withColumn("_o", order).withColumn("_r", F.substring("_o", 1, digits))
+    sums = keyed.groupBy("_r").agg(F.sum(value).alias("_n"))
+    # at most 16 ** digits rows
+    offsets = sums.select("_r", F.coalesce(F.sum("_n").over(Window.orderBy("_r").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_b"))
+    inside = F.sum(value).over(Window.partitionBy("_r").orderBy("_o", tie).rowsBetween(Window.unboundedPreceding, 0))
+    return keyed.withColumn("_k", inside).join(F.broadcast(offsets), "_r").withColumn(name, F.col("_k") + F.col("_b")).drop("_o", "_r", "_k", "_b")
+
+
+def run_static(scored: DataFrame, ratio: float, score: str = "score", id_col: str = "doc_id") -> DataFrame:
+    """The static protocol: the best share of the whole pool, chosen once, before training."""
+    rows = scored.select(id_col, score, F.lit(1).alias("one"))
+    return token_budget(rows, score, "one", int(rows.count() * ratio + 1e-9), id_col).select(id_col)
+
+
+def run_dynamic(scored: DataFrame, ratio: float, score: str = "score", id_col: str = "doc_id", keep: tuple[str, ...] = ()) -> DataFrame:
+    """The dynamic protocol: the best share of each buffer of rows (step, id, score), while the pool streams by."""
+    w = Window.partitionBy("step")
+    ranked = scored.withColumn("_k", F.row_number().over(w.orderBy(F.col(score).desc(), id_col))).withColumn("_n", F.count(F.lit(1)).over(w))
+    return ranked.filter(F.col("_k") <= F.floor(F.col("_n") * ratio + 1e-9)).select(id_col, *keep)
+
+
 def form_buffers(docs: DataFrame, size: int, seed: int = 42, id_col: str = "doc_id") -> DataFrame:
     """(step, slot, id): the corpus in hash order, cut into buffers of ``size``; the last may be short."""
     order = F.md5(F.concat(F.lit(f"buf|{seed}|"), F.col(id_col).cast("string")))

@@ -38,6 +38,7 @@ class Config:
     normalise: str = "raw"
     score_lr: float = 1.0
     refresh_every: int = 1
+    muon_reference: str = "buffer"  # or "proxy": the proxy batch's gradient, which an empty buffer needs anyway
 
 
 def features(theta: dict, geo: dict[str, Geometry], toks: np.ndarray, cfg: Config, cache: dict, apply: bool) -> np.ndarray:
@@ -121,6 +122,15 @@ def start(cfg: Config) -> tuple[dict, dict[str, Optimizer]]:
     return theta, {k: Optimizer(kinds[k], v.shape, cfg.lr[kinds[k]]) for k, v in theta.items()}
 
 
+def frozen_geometry(optimizers: dict[str, Optimizer], proxy: DataFrame, theta: dict, cfg: Config) -> dict[str, Geometry]:
+    """The maps of the next step; Muon's factor is taken at its momentum, or at the proxy batch's gradient."""
+    if cfg.selector != "geometry":
+        return {k: Geometry() for k in optimizers}
+    by_proxy = {k for k, o in optimizers.items() if o.kind == "muon" and (cfg.muon_reference == "proxy" or not o.m.any())}
+    g = gradient_sum(proxy.withColumn("toks", F.slice("toks", 1, cfg.score_len)).filter(F.size("toks") > 1), theta)[0] if by_proxy else {}
+    return {k: o.geometry(g[k], True) if k in by_proxy else o.geometry() for k, o in optimizers.items()}
+
+
 def run_selection(buffers: DataFrame, proxy: DataFrame, cfg: Config, steps: int, theta: dict | None = None, optimizers: dict | None = None, first: int = 0) -> tuple[dict, dict, list[dict], list[dict]]:
     """Runs ``steps`` steps over ``buffers`` (step, doc_id, toks) with the pool ``proxy`` (doc_id, toks).
 
@@ -137,7 +147,7 @@ def run_selection(buffers: DataFrame, proxy: DataFrame, cfg: Config, steps: int,
         here = buffers.filter(F.col("step") == step).select(F.lit("candidate").alias("role"), "doc_id", "toks")
         if geo is None or (step - first) % cfg.refresh_every == 0:
             frozen = theta
-            geo = {k: o.geometry() if cfg.selector == "geometry" else Geometry() for k, o in optimizers.items()}
+            geo = frozen_geometry(optimizers, mine, frozen, cfg)
         scored = score_pass(mine.unionByName(here), frozen, geo, cfg).toPandas()
         if not (scored.role == "candidate").any():
             continue

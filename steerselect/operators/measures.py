@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import tokens as T
+from ..functions.tokens import gumbel
 
 #: Options per item and scoring mode of the ten tasks.
 CHOICES = (4, 3, 4, 2, 3, 2, 4, 4, 5, 2)
@@ -63,3 +64,43 @@ def flops(n: Column, k: Column, t: Column, length: Column, d: float, m: int, lay
     draws = 2 * n * k
     naive = 6 * d * n * length + 2 * n * d
     return {"train": train, "score": score, "gram": gram, "draws": draws, "overhead": (score + gram + draws) / train, "naive_slowdown": (train + naive) / train}
+
+
+def next_tokens(lm: DataFrame, temperature: float, top_p: float, top_k: int) -> DataFrame:
+    """(x, y, prob): what may follow x, from (x, y, logp): sharpened, cut to the likeliest few, then to the nucleus.
+
+    The nucleus is the shortest run of likeliest tokens that holds ``top_p``; ties go to the smaller token.
+    """
+    row = Window.partitionBy("x")
+    best = row.orderBy(F.round("logp", 9).desc(), "y")
+    few = lm.select("x", "y", F.exp((F.col("logp") - F.max("logp").over(row)) / temperature).alias("e"), F.row_number().over(best).alias("rk")).filter(F.col("rk") <= top_k)
+    q = few.withColumn("q", F.col("e") / F.sum("e").over(row))
+    before = F.round(F.coalesce(F.sum("q").over(row.orderBy("rk").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0)), 9)
+    kept = q.withColumn("before", before).filter(F.col("before") < top_p)
+    return kept.select("x", "y", (F.col("q") / F.sum("q").over(row)).alias("prob"))
+
+
+def decode(starts: DataFrame, following: DataFrame, length: int, seed: int = 42, id_col: str = "doc_id") -> DataFrame:
+    """(id, toks): ``length`` tokens drawn one after another from (id, last); noise is fixed by id, place and token.
+
+    The table of what may follow has the vocabulary's size and travels as one map; rows never meet.
+    """
+    lists = following.groupBy("x").agg(F.sort_array(F.collect_list(F.struct("y", "prob"))).alias("l"))
+    one = lists.agg(F.map_from_entries(F.collect_list(F.struct("x", "l"))).alias("after"))
+
+    def draw(state, at):
+        noise = lambda c: gumbel(F.concat_ws("|", F.lit(f"dec|{seed}"), F.col(id_col), at, c["y"]))
+        keyed = F.transform(F.col("after")[state["last"]], lambda c: F.struct((F.round(F.log(c["prob"]) + noise(c), 9)).alias("key"), (-c["y"]).alias("y")))
+        y = -F.array_max(keyed)["y"]
+        return F.struct(y.alias("last"), F.concat(state["out"], F.array(y)).alias("out"))
+
+    first = F.struct(F.col("last").cast("long").alias("last"), F.array().cast("array<long>").alias("out"))
+    out = F.aggregate(F.sequence(F.lit(0), F.lit(length - 1)), first, draw)
+    return starts.crossJoin(F.broadcast(one)).select(id_col, out["out"].alias("toks"))
+
+
+def mean_cosine(vectors: DataFrame, members: DataFrame, by: str = "step") -> DataFrame:
+    """(by, k, cosine): the mean over all pairs of members, from rows (by, b, u) of their unit vectors."""
+    sums = vectors.groupBy(by, "b").agg(F.sum("u").alias("v")).groupBy(by).agg(F.sum(F.col("v") * F.col("v")).alias("s"))
+    k = members.groupBy(by).agg(F.count(F.lit(1)).alias("k")).filter("k > 1")
+    return sums.join(k, by).select(by, "k", ((F.col("s") - F.col("k")) / (F.col("k") * (F.col("k") - 1.0))).alias("cosine"))

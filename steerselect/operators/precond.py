@@ -110,14 +110,14 @@ class Optimizer:
         self.kind, self.shape, self.lr, self.beta1, self.beta2, self.eps, self.decay, self.ns_steps = kind, shape, lr, beta1, beta2, eps, decay, ns_steps
         self.m, self.v, self.t = np.zeros(shape), np.zeros(shape), 0
 
-    def geometry(self, proxy: np.ndarray | None = None) -> Geometry:
-        """The frozen map of the next step; Muon's reference is its smoothed direction, or a proxy gradient."""
+    def geometry(self, proxy: np.ndarray | None = None, by_proxy: bool = False) -> Geometry:
+        """The frozen map of the next step; Muon's reference is its smoothed direction, or a proxy gradient where that is empty or asked for."""
         t = self.t + 1
         if self.kind == "adamw":
             return adamw({"v": self.v}, t, beta1=self.beta1, beta2=self.beta2, eps=self.eps)
         if self.kind == "muon":
             mu = muon_momentum(t)
-            return muon(proxy if proxy is not None and not self.m.any() else mu * mu * self.m, mu, self.ns_steps)
+            return muon(proxy if proxy is not None and (by_proxy or not self.m.any()) else mu * mu * self.m, mu, self.ns_steps)
         return plain()
 
     def step(self, w: np.ndarray, g: np.ndarray, rate: float = 1.0) -> np.ndarray:

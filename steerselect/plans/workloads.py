@@ -297,7 +297,8 @@ def select_loop(t: Tables) -> DataFrame:
     tok = T.tokenized(t.docs, cfg.vocabulary).filter(F.size("toks") > 1)  # whole texts: ``score_pass`` alone takes the prefix
     steps = corpus.form_buffers(t.split.filter("split = 'train'"), 256, SEED)
     count = (steps.agg(F.max("step")).first()[0] or 0) + 1
-    rows = steps.join(tok, "doc_id").select("step", "doc_id", "toks")
-    pool = tok.join(t.split.filter("split = 'val'"), "doc_id").select("doc_id", "toks")
+    # stored in the order of steps: a step then reads its own part, and nothing is tokenised twice
+    rows = stored(steps.join(tok, "doc_id").select("step", "doc_id", "toks").repartitionByRange("step").sortWithinPartitions("step"), "buffers")
+    pool = stored(tok.join(t.split.filter("split = 'val'"), "doc_id").select("doc_id", "toks"), "pool")
     _, _, picks, _ = loop.run_selection(rows, pool, cfg, count)
     return t.spark.createDataFrame([tuple(p.values()) for p in picks], "step long, draw int, doc_id long, utility double")

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from .plans import core_queries, measure_queries, proxy_queries, relational_queries, workloads  # noqa: F401
+from .plans import core_queries, measure_queries, more_queries, proxy_queries, relational_queries, workloads  # noqa: F401
 from .plans.registry import ORACLES, QUERIES
 
 
