@@ -3,10 +3,11 @@
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.tokens import hash28, unit, words
+from .corpus import global_rank
 
 BUCKETS = 1000
 
@@ -50,10 +51,9 @@ def classifier(grams: DataFrame, positive: DataFrame, negative: DataFrame, id_co
 def pairs_by_rank(labels: DataFrame, per_loser: int = 3, id_col: str = "doc_id") -> DataFrame:
     """(win_id, lose_id): every row of quality 0 with ``per_loser`` rows of quality 1, dealt by hash ranks: no all-pairs join."""
     order = F.md5(F.concat(F.lit("pair|"), F.col(id_col).cast("string")))
-    ranked = labels.withColumn("r", F.row_number().over(Window.partitionBy("quality").orderBy(order, id_col)) - 1)
-    wins = ranked.filter("quality = 1").select(F.col("r").cast("long").alias("at"), F.col(id_col).alias("win_id"))
-    size = wins.agg(F.count(F.lit(1)).alias("size"))
-    loses = ranked.filter("quality = 0").crossJoin(F.broadcast(size)).filter("size > 0")
+    wins, loses = (global_rank(labels.filter(F.col("quality") == q).select(id_col), order, id_col, "r").withColumn("r", F.col("r") - 1) for q in (1, 0))
+    wins = wins.select(F.col("r").cast("long").alias("at"), F.col(id_col).alias("win_id"))
+    loses = loses.crossJoin(F.broadcast(wins.agg(F.count(F.lit(1)).alias("size")))).filter("size > 0")
     want = loses.select(F.col(id_col).alias("lose_id"), "r", "size", F.explode(F.array(*map(F.lit, range(per_loser)))).alias("j"))
     return want.withColumn("at", ((F.col("r") * per_loser + F.col("j")) % F.col("size")).cast("long")).join(wins, "at").select("win_id", "lose_id")
 

@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.tokens import hash28, shingles
+from ..sources.tables import stored
 
 
 def split_of(id_col: str, seed: int = 42, every: int = 10) -> Column:
@@ -63,35 +64,26 @@ def form_buffers(docs: DataFrame, size: int, seed: int = 42, id_col: str = "doc_
     return ranked.select(F.floor((F.col("rank") - 1) / size).cast("long").alias("step"), ((F.col("rank") - 1) % size).alias("slot"), id_col)
 
 
-def token_budget(scored: DataFrame, score: str, tokens: str, budget: int, id_col: str = "doc_id", bins: int = 256) -> DataFrame:
-    """Rows by descending (score, then ascending id) while the running total of tokens is within the budget.
+def token_budget(scored: DataFrame, score: str, tokens: str, budget: int, id_col: str = "doc_id") -> DataFrame:
+    """Rows by descending (score, then ascending id) while the running total of tokens, ``cum_tok``, is within the budget.
 
-    The first row beyond the budget ends the choice.  Two passes: token sums by score bin find the bin in which the
-    budget ends; rows of better bins stay and only that bin is ordered.
+    The first row beyond the budget ends the choice; rows without a score are left out.  Ranges of (score, id) are dealt
+    out evenly by a sampled partitioner, ties included, and stored; their token sums give each range its offset, and only
+    ranges that begin within the budget are ordered, each by itself.
     """
-    lo, hi = scored.agg(F.min(score), F.max(score)).first()
-    if lo is None:
-        return scored.withColumn("cum_tok", F.lit(0).cast("long"))
-    width = (hi - lo) / bins or 1.0
-    binned = scored.withColumn("_bin", F.least(F.lit(bins - 1), F.floor((F.lit(hi) - F.col(score)) / F.lit(width))).cast("int"))
-    sums = sorted((r["_bin"], r["t"]) for r in binned.groupBy("_bin").agg(F.sum(tokens).alias("t")).collect())  # ``bins`` rows
-    before, cut = 0, bins
-    for b, t in sums:
-        if before + t > budget:
-            cut = b
-            break
-        before += t
-    whole = binned.filter(F.col("_bin") < cut)
-    order = Window.orderBy(F.col(score).desc(), id_col)
-    edge = binned.filter(F.col("_bin") == cut).withColumn("cum_tok", F.sum(tokens).over(order.rowsBetween(Window.unboundedPreceding, 0)) + F.lit(before)).filter(F.col("cum_tok") <= budget)
-    # the running total inside whole bins, by bin
-    inner = F.sum(tokens).over(Window.partitionBy("_bin").orderBy(F.col(score).desc(), id_col).rowsBetween(Window.unboundedPreceding, 0))
+    ranged = scored.filter(F.col(score).isNotNull()).repartitionByRange(F.col(score).desc(), F.col(id_col))
+    rows = stored(ranged.withColumn("_p", F.spark_partition_id()), "ranged")
     starts, run = [], 0
-    for b, t in sums:
-        starts.append((b, run))
+    for p, t in sorted((r["_p"], r["t"] or 0) for r in rows.groupBy("_p").agg(F.sum(tokens).alias("t")).collect()):  # a row for each range
+        if run <= budget:
+            starts.append((p, run))
         run += t
-    offset = F.create_map(*(F.lit(v) for bs in starts for v in bs))
-    return whole.withColumn("cum_tok", inner + offset[F.col("_bin")]).unionByName(edge).drop("_bin")
+    if not starts:
+        return rows.withColumn("cum_tok", F.lit(0).cast("long")).drop("_p")
+    offset = F.create_map(*(F.lit(v) for s in starts for v in s))
+    inner = F.sum(tokens).over(Window.partitionBy("_p").orderBy(F.col(score).desc(), id_col).rowsBetween(Window.unboundedPreceding, 0))
+    within = rows.filter(F.col("_p") <= starts[-1][0]).withColumn("cum_tok", (inner + offset[F.col("_p")]).cast("long"))
+    return within.filter(F.col("cum_tok") <= budget).drop("_p")
 
 
 def select_threshold(scored: DataFrame, score: str, least: float) -> DataFrame:

@@ -47,12 +47,12 @@ def gradient(p: np.ndarray, toks: np.ndarray) -> np.ndarray:
     return (n.sum(1, keepdims=True) * p - n) / (len(toks) - 1)
 
 
-def step_pass(candidates: DataFrame, proxy: DataFrame, model: DataFrame, vocabulary: int, buckets: int, alpha: float = 0.5, scale: float = 1.0, eps: float = 1e-4, seed: int = 42, history: int = 4, with_phi: bool = False) -> DataFrame:
+def step_pass(candidates: DataFrame, proxy: DataFrame, model: DataFrame, vocabulary: int, buckets: int, alpha: float = 0.5, scale: float = 1.0, eps: float = 1e-4, seed: int = 42, history: int = 4, phi: str | None = None) -> DataFrame:
     """(step, doc_id, one column for each of SCORES, phi) for rows (step, slot, doc_id, toks) of at least two tokens.
 
     ``shaped`` freezes AdamW's factor and ``muon`` the iteration's factor after one past step on the mean training
     gradient; ``redundancy`` is the product with the summed gradients of the first ``history`` slots; ``phi``, on
-    request, the sketch of the shaped gradient.  A step without proxy pairs scores zero.
+    request, the sketch of the gradient in the geometry named.  A step without proxy pairs scores zero.
     """
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -72,8 +72,9 @@ def step_pass(candidates: DataFrame, proxy: DataFrame, model: DataFrame, vocabul
         out = {"step": [int(pdf["step"].iloc[0])] * len(own), "doc_id": [d for d, _ in own]}
         got = np.array([gain[:, x[:-1], x[1:]].mean(1) for _, x in own]).reshape(-1, len(SCORES))
         out |= {k: got[:, i] for i, k in enumerate(SCORES)}
-        if with_phi:
-            out["phi"] = [np.bincount(bucket.ravel(), (sign * shape * gradient(p, x)).ravel(), buckets) for _, x in own]
+        if phi:
+            apply = {"plain": lambda x: x, "shaped": lambda x: shape * x, "muon": lambda x: factor @ x if left else x @ factor}[phi]
+            out["phi"] = [np.bincount(bucket.ravel(), (sign * apply(gradient(p, x))).ravel(), buckets) for _, x in own]
         return pd.DataFrame(out)
 
     def role(rows: DataFrame, name: str) -> DataFrame:
@@ -82,5 +83,5 @@ def step_pass(candidates: DataFrame, proxy: DataFrame, model: DataFrame, vocabul
     steps = candidates.select("step").distinct().crossJoin(F.broadcast(model))
     head = steps.select("step", F.lit("model").alias("role"), F.lit(None).cast("long").alias("slot"), F.lit(None).cast("long").alias("doc_id"), F.lit(None).cast("array<int>").alias("toks"), "cells")
     rows = role(candidates, "candidate").union(role(proxy.withColumn("slot", F.lit(-1)), "proxy")).withColumn("cells", F.lit(None).cast(model.schema["cells"].dataType))
-    schema = "step long, doc_id long, " + ", ".join(f"{k} double" for k in SCORES) + ", phi array<double>" * with_phi
+    schema = "step long, doc_id long, " + ", ".join(f"{k} double" for k in SCORES) + ", phi array<double>" * bool(phi)
     return rows.union(head).groupBy("step").applyInPandas(run, schema)

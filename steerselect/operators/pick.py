@@ -55,7 +55,7 @@ def pick_from_gram(align: np.ndarray, gram: np.ndarray, k: int, lr: float = 1.0,
     return out
 
 
-def pick_steps(features: DataFrame, ratio: float = 0.5, lr: float = 1.0, tau: float = 0.9, policy: str = "soft", penalty: bool = True, seed: int = 42, local: bool = False) -> DataFrame:
+def pick_steps(features: DataFrame, ratio: float = 0.5, lr: float = 1.0, tau: float = 0.9, policy: str = "soft", penalty: bool = True, seed: int = 42, local: bool = False, normalise: str = "raw") -> DataFrame:
     """(step, draw, doc_id, utility, prob) from rows (step, doc_id, align, phi), phi the candidate's sketch.
 
     A step's candidates from all workers meet in one group of the buffer's size; ``local`` keeps a ``worker`` column's
@@ -66,7 +66,7 @@ def pick_steps(features: DataFrame, ratio: float = 0.5, lr: float = 1.0, tau: fl
         pdf = pdf.sort_values("doc_id")
         phi = np.stack(pdf["phi"].to_numpy()) if len(pdf) else np.zeros((0, 1))
         ids, step = pdf["doc_id"].to_numpy(), int(pdf["step"].iloc[0])
-        got = pick_from_gram(pdf["align"].to_numpy(), phi @ phi.T, quota(len(pdf), ratio), lr, tau, policy, penalty, lambda d, i: noise(seed, step, d, ids[i]), ids)
+        got = pick_from_gram(pdf["align"].to_numpy(), phi @ phi.T, quota(len(pdf), ratio), lr, tau, policy, penalty, lambda d, i: noise(seed, step, d, ids[i]), ids, normalise=normalise)
         return pd.DataFrame({"step": [step] * len(got), "draw": range(len(got)), "doc_id": [ids[z] for z, _, _ in got], "utility": [u for _, u, _ in got], "prob": [p for _, _, p in got]})
 
     keys = ["step", "worker"] if local else ["step"]

@@ -2,14 +2,20 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.tokens import hash28, words
+from ..sources.tables import stored
 
 DIM = 32
-#: A benchmark beyond this many passages meets the corpus in a join instead of travelling as one row.
-ONE_ROW = 20_000
+#: Passages of a benchmark that travel at once.
+BLOCK = 16_384
 
 
 def encode(df: DataFrame, id_col: str, text_col: str = "text", dim: int = DIM) -> DataFrame:
@@ -29,13 +35,41 @@ def dot(a: Column, b: Column) -> Column:
 def relevance(docs: DataFrame, bench: DataFrame, id_col: str, item_col: str, digits: int = 6) -> DataFrame:
     """(id, relevance, best_item) from (id, vec) and (item, vec): the greatest product, ties to the smaller item.
 
-    A small benchmark travels as one row, so a document meets all its items without a row for each pair.
+    Items come in blocks of at most about ``BLOCK``; each block is broadcast as a matrix and meets the documents in
+    matrix products, so no pair becomes a row.  Vectors that are null, hold a null or have another length take no part.
     """
-    if bench.limit(ONE_ROW + 1).count() > ONE_ROW:
-        pairs = docs.join(bench.withColumnRenamed("vec", "other"), how="cross").select(id_col, F.struct(F.round(dot(F.col("vec"), F.col("other")), digits).alias("s"), (-F.col(item_col)).alias("i")).alias("best"))
-        best = pairs.groupBy(id_col).agg(F.max("best").alias("best"))
-    else:
-        items = bench.agg(F.collect_list(F.struct(F.col(item_col).alias("item"), F.col("vec").alias("other"))).alias("items"))
-        scored = F.transform("items", lambda b: F.struct(F.round(dot(F.col("vec"), b["other"]), digits).alias("s"), (-b["item"]).alias("i")))
-        best = docs.crossJoin(F.broadcast(items)).select(id_col, F.array_max(scored).alias("best"))
-    return best.select(id_col, (F.col("best.s") + F.lit(0.0)).alias("relevance"), (-F.col("best.i")).alias("best_item"))
+    spark = docs.sparkSession
+    usable = lambda df, key: df.select(F.col(key).cast("long").alias("k"), F.col("vec").cast("array<double>").alias("vec")).filter(F.col("vec").isNotNull() & ~F.exists("vec", F.isnull))
+    items, rows = usable(bench, item_col), usable(docs, id_col)
+    blocks = -(-items.count() // BLOCK)
+    if blocks > 1:
+        items, rows = stored(items, "items"), stored(rows, "vectors")
+    schema = "k long, s double, item long"
+
+    def meeting(shared):
+        def run(batches):
+            ids, x = shared.value
+            for b in batches:
+                vec = b.column("vec")
+                on = pc.equal(pc.list_value_length(vec), x.shape[1])
+                keys, vec = b.column("k").filter(on), vec.filter(on)
+                for i in range(0, len(keys), 1024):
+                    part = vec.slice(i, 1024)
+                    s = np.round(part.flatten().to_numpy().reshape(-1, x.shape[1]) @ x.T, digits)
+                    at = s.argmax(1)
+                    yield pa.RecordBatch.from_arrays([keys.slice(i, 1024), pa.array(s[np.arange(len(at)), at]), pa.array(ids[at])], names=["k", "s", "item"])
+
+        return run
+
+    parts = []
+    for n in range(blocks):
+        held = items.filter(F.pmod(F.xxhash64("k"), F.lit(blocks)) == n).orderBy("k").toPandas()  # about BLOCK rows
+        if len(held):
+            matrix = spark.sparkContext.broadcast((held["k"].to_numpy(np.int64), np.stack(held["vec"].to_numpy()).astype(float)))
+            parts.append(rows.mapInArrow(meeting(matrix), schema))
+    if not parts:
+        return rows.limit(0).select(F.col("k").alias(id_col), F.lit(0.0).alias("relevance"), F.lit(0).cast("long").alias("best_item"))
+    found = reduce(DataFrame.union, parts)
+    if len(parts) > 1:
+        found = found.groupBy("k").agg(F.max(F.struct("s", (-F.col("item")).alias("i"))).alias("best")).select("k", "best.s", (-F.col("best.i")).alias("item"))
+    return found.select(F.col("k").alias(id_col), (F.col("s") + F.lit(0.0)).alias("relevance"), F.col("item").alias("best_item"))

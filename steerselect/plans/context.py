@@ -91,13 +91,13 @@ class Tables:
         cells = lm_count.grid(self.docs, V).join(F.broadcast(g), ["x", "y"], "left")
         return cells.select("x", "y", (F.lit(SCALE) / (F.abs(F.coalesce("g", F.lit(0.0))) + F.lit(EPS))).alias("f"))
 
-    def step_scores(self, with_phi: bool = False) -> DataFrame:
-        """(step, doc_id, plain, shaped, muon, sketched, plain_sketched, redundancy): all scores of candidates, in one pass."""
+    def step_scores(self, phi: str | None = None) -> DataFrame:
+        """(step, doc_id, plain, shaped, muon, sketched, plain_sketched, redundancy): all scores of candidates, in one pass, and ``phi``."""
         prefix = T.tokenized(self.docs, V, limit=SCORE_LEN).select("doc_id", "toks")
         own = self.buffers.join(prefix, "doc_id")
         beside = self.proxy_batch.join(prefix.filter(corpus.split_of("doc_id", SEED) == "val"), "doc_id")
         model = lm_step.counted(self.tok.filter(corpus.split_of("doc_id", SEED) == "train"))
-        return lm_step.step_pass(own, beside, model, V, SKETCH, ALPHA, SCALE, EPS, SEED, with_phi=with_phi)
+        return lm_step.step_pass(own, beside, model, V, SKETCH, ALPHA, SCALE, EPS, SEED, phi=phi)
 
     @cached_property
     def alignment(self) -> DataFrame:

@@ -227,17 +227,23 @@ def pick_gumbel(t: Tables) -> DataFrame:
     return pick.rank_in_step(t.utility, F.round(F.col("utility") / TAU + noise, 6), RATIO).select("step", "doc_id", "rk")
 
 
-def _features(t: Tables) -> DataFrame:
-    return t.step_scores(with_phi=True).select("step", "doc_id", F.col("shaped").alias("align"), "phi")
+#: The rate that updates are weighed with in picks: alignment counts once, overlap twice.
+RATE = 1e-4
 
 
-def _picked(policy: str, penalty: bool = True, local: bool = False):
-    def run(t: Tables) -> DataFrame:
-        f = _features(t)
-        f = f.withColumn("worker", F.col("doc_id") % 4) if local else f
-        return pick.pick_steps(f, RATIO, 1e-4, TAU, policy, penalty, SEED, local)
+def _features(t: Tables, shape: str = "shaped") -> DataFrame:
+    return t.step_scores(shape).select("step", "doc_id", F.col(shape).alias("align"), "phi")
+
+
+def picked(t: Tables, policy: str, penalty: bool = True, local: bool = False, shape: str = "shaped", normalise: str = "raw") -> DataFrame:
+    """(step, draw, doc_id, utility, prob): the sequential choice from sketches in a geometry (shaped by AdamW, muon or plain)."""
+    f = _features(t, shape)
+    f = f.withColumn("worker", F.col("doc_id") % 4) if local else f
+    return pick.pick_steps(f, RATIO, RATE, TAU, policy, penalty, SEED, local, normalise)
 
-    return run
+
+def _picked(policy: str, penalty: bool = True, local: bool = False):
+    return lambda t: picked(t, policy, penalty, local)
 
 
 query("pick_greedy")(_picked("greedy"))

@@ -17,7 +17,7 @@ from ..operators import corpus, lm_count, loop, measures, pick
 from ..sources.tables import stored
 from ..streaming import runs
 from .context import ALPHA, EPS, RATIO, SCALE, SEED, TAU, V, Tables
-from .core_queries import _picked
+from .core_queries import _picked, picked
 from .proxy_queries import _pool, _relevance, graded, raw_scores
 from .registry import QUERIES, query
 
@@ -62,10 +62,10 @@ def selections(t: Tables, names: list[str]) -> DataFrame:
             return pick.rank_in_step(t.buffers.join(t.nll, "doc_id"), F.round("nll", 9), RATIO).select("doc_id")
         if name == "raw-gradient":
             return pick.rank_in_step(raw_scores(t), F.round("score", 9), RATIO).select("doc_id")
-        if name == "geometry":
-            return soft(t, t.alignment)
+        if name in GEOMETRIES:  # sketches, the penalty for overlap and soft draws; utilities are scaled within the buffer
+            return picked(t, "soft", shape=GEOMETRIES[name], normalise="zscore").select("doc_id")
         if name == "geometry-greedy":
-            return pick.rank_in_step(t.alignment, F.round("score", 9), RATIO).select("doc_id")
+            return picked(t, "greedy").select("doc_id")
         grams = B.gram_buckets(t.docs, "doc_id")
         if name == "importance":
             w = B.summed(grams, B.log_ratio(B.gram_buckets(t.table("benchmark"), "item_id"), grams))
@@ -126,7 +126,9 @@ def report(t: Tables, block: str, chosen: DataFrame, tasks: DataFrame | None = N
     return union([tidy(used, block, m, "tokens", "all", "tokens"), tidy(val_nll(t, lms), block, m, "nll", F.col("key"), "nll"), tidy(acc, block, m, "accuracy", F.col("task"), "acc"), tidy(mean, block, m, "accuracy", "average", "acc")])
 
 
-METHODS = ["random", "random-long", "high-loss", "raw-gradient", "importance", "ngram-classifier", "seed-classifier", "grader", "pairwise-rater", "geometry"]
+#: The selector's name by the optimizer whose geometry it takes.
+GEOMETRIES = {"geometry": "shaped", "geometry-muon": "muon"}
+METHODS = ["random", "random-long", "high-loss", "raw-gradient", "importance", "ngram-classifier", "seed-classifier", "grader", "pairwise-rater", "geometry", "geometry-muon"]
 
 
 @query("w01_scratch_web")
@@ -138,8 +140,8 @@ def w01(t: Tables) -> Rows:
 def w02(t: Tables) -> Rows:
     """The geometry-aware choice from grade 3 against choices from grades 4 and 5."""
     grade = graded(t).select("doc_id", "grade")
-    low = selections(t, ["random", "geometry"]).join(grade.filter("grade = 3"), "doc_id").select(F.concat("method", F.lit(" 3")).alias("method"), "doc_id")
-    high = selections(t, ["random", "high-loss", "raw-gradient", "importance", "geometry"]).join(grade.filter("grade >= 4"), "doc_id").select(F.concat("method", F.lit(" 4+5")).alias("method"), "doc_id")
+    low = selections(t, ["random", "geometry", "geometry-muon"]).join(grade.filter("grade = 3"), "doc_id").select(F.concat("method", F.lit(" 3")).alias("method"), "doc_id")
+    high = selections(t, METHODS).join(grade.filter("grade >= 4"), "doc_id").select(F.concat("method", F.lit(" 4+5")).alias("method"), "doc_id")
     return report(t, "graded", low.unionByName(high))
 
 
@@ -156,12 +158,12 @@ def w03(t: Tables) -> Rows:
 
 @query("w04_loss_curves")
 def w04(t: Tables) -> Rows:
-    """Validation loss after each fifth of the steps, per method."""
+    """Validation loss after each twentieth of the steps, per method."""
     steps = t.buffers.select("doc_id", "step")
     last = steps.agg((F.max("step") + 1).alias("steps"))
-    stage = steps.crossJoin(F.broadcast(last)).select("doc_id", F.floor(F.col("step") * 5 / F.col("steps")).cast("int").alias("c"))
-    chosen = selections(t, ["random", "high-loss", "geometry"]).join(stage, "doc_id")
-    grown = chosen.select("method", "doc_id", F.explode(F.sequence("c", F.lit(4))).alias("at")).select(F.concat_ws("|", "method", "at").alias("method"), "doc_id")
+    stage = steps.crossJoin(F.broadcast(last)).select("doc_id", F.floor(F.col("step") * 20 / F.col("steps")).cast("int").alias("c"))
+    chosen = selections(t, ["random", "high-loss", "raw-gradient", "geometry", "geometry-muon"]).join(stage, "doc_id")
+    grown = chosen.select("method", "doc_id", F.explode(F.sequence("c", F.lit(19))).alias("at")).select(F.concat_ws("|", "method", "at").alias("method"), "doc_id")
     nll = val_nll(t, models(t, grown))
     parts = F.split("method", r"\|")
     return tidy(nll.withColumn("m", parts[0]).withColumn("at", parts[1]), "web", F.col("m"), "nll", F.col("at"), "nll")
@@ -178,14 +180,20 @@ def w05(t: Tables) -> Rows:
 
 @query("w06_continued_training")
 def w06(t: Tables) -> Rows:
-    """A model of the other languages goes on with German text: none, all, and thirds chosen at random or by the classifier."""
+    """A model of the other languages goes on with German text: none, all, and shares chosen at random, by the classifier or in the geometry."""
     german = t.docs.select("doc_id", "lang")
     base = t.train_pairs.join(german.filter("lang <> 'de'"), "doc_id").select("x", "y")
     de = german.filter("lang = 'de'").select("doc_id")
     uniform = B.hash_order(de, "cpt")
     parts = [de.select(F.lit("full").alias("method"), "doc_id")]
     parts += [uniform.filter(F.col("score") < s).select(F.lit(f"random {s:.2f}").alias("method"), "doc_id") for s in (1 / 6, 1 / 3, 1 / 2)]
-    parts.append(selections(t, ["geometry"]).join(de, "doc_id").select("method", "doc_id"))
+    parts.append(selections(t, ["geometry", "geometry-muon"]).join(de, "doc_id").select("method", "doc_id"))
+    labels = t.table("labels")
+    rated = B.classifier(B.gram_buckets(t.docs, "doc_id"), labels.filter("quality = 1"), labels.filter("quality = 0"))
+    rows = pool_tokens(t).join(rated, "doc_id").join(de, "doc_id")
+    total = rows.agg(F.coalesce(F.sum("n_words"), F.lit(0))).first()[0]
+    parts += [corpus.token_budget(rows, "p", "n_words", int(total * s)).select(F.lit(f"classifier {s:.2f}").alias("method"), "doc_id") for s in (1 / 6, 1 / 3, 1 / 2)]
+    parts.append(t.docs.limit(1).select(F.lit("none").alias("method"), F.lit(-1).cast("long").alias("doc_id")))
     lms = models(t, union(parts), base)
     return tidy(val_nll(t, lms, de.withColumn("key", F.lit("de"))), "german", F.col("method"), "nll", F.col("key"), "nll")
 

@@ -99,7 +99,7 @@ def test_grouped_scores_against_whole_gradients(spark):
     train = [(1000 + k, r.integers(0, v, 15).tolist()) for k in range(9)] + [(2000, [1])]
     df = lambda x, c: spark.createDataFrame(x, c)
     model = lm_step.counted(df(train, "doc_id long, toks array<long>"))
-    got = lm_step.step_pass(df(own, "step long, slot long, doc_id long, toks array<long>"), df(beside, "step long, doc_id long, toks array<long>"), model, v, m, scale=0.5, with_phi=True).toPandas().set_index("doc_id")
+    got = lm_step.step_pass(df(own, "step long, slot long, doc_id long, toks array<long>"), df(beside, "step long, doc_id long, toks array<long>"), model, v, m, scale=0.5, phi="shaped").toPandas().set_index("doc_id")
     n = np.zeros((v, v))
     for _, t in train:
         np.add.at(n, (t[:-1], t[1:]), 1.0)
