@@ -1,6 +1,6 @@
 """Scores of every step's candidates in one grouped pass, without gradients, sketches of candidates or growing broadcasts.
 
-A step's group holds its candidates, its proxy documents and one row with the pair model's counts, whose size is the
+A step's group holds its candidates, its proxy documents and, on one row, the pair model's counts, whose size is the
 vocabulary's.  The product of a candidate's gradient with any direction v is the mean over its pairs of c(x) - v(x, y),
 c(x) the expected v of the row; so every score is one direction per step: the proxy's gradient as the geometry shapes it,
 the same seen through a sketch, or the gradients of a history.
@@ -50,16 +50,18 @@ def gradient(p: np.ndarray, toks: np.ndarray) -> np.ndarray:
 def step_pass(candidates: DataFrame, proxy: DataFrame, model: DataFrame, vocabulary: int, buckets: int, alpha: float = 0.5, scale: float = 1.0, eps: float = 1e-4, seed: int = 42, history: int = 4, phi: str | None = None) -> DataFrame:
     """(step, doc_id, one column for each of SCORES, phi) for rows (step, slot, doc_id, toks) of at least two tokens.
 
+    Slots count from 0 within a step.
+
     ``shaped`` freezes AdamW's factor and ``muon`` the iteration's factor after one past step on the mean training
     gradient; ``redundancy`` is the product with the summed gradients of the first ``history`` slots; ``phi``, on
     request, the sketch of the gradient in the geometry named.  A step without proxy pairs scores zero.
     """
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        p, past = model_of(pdf.loc[pdf["role"] == "model", "cells"].iloc[0], vocabulary, alpha)
+        p, past = model_of(next((c for c in pdf["cells"] if c is not None), ()), vocabulary, alpha)
         shape = scale / (np.abs(past) + eps)
         bucket, sign = tables((vocabulary, vocabulary), buckets, seed)
-        rows = [(r, s, d, np.asarray(x, np.int64)) for r, s, d, x in zip(pdf["role"], pdf["slot"], pdf["doc_id"], pdf["toks"]) if r != "model" and len(x) > 1]
+        rows = [(r, s, d, np.asarray(x, np.int64)) for r, s, d, x in zip(pdf["role"], pdf["slot"], pdf["doc_id"], pdf["toks"]) if len(x) > 1]
         beside = [gradient(p, x) for r, _, _, x in rows if r == "proxy"]
         g = np.mean(beside, 0) if beside else np.zeros_like(p)
         first = sum((gradient(p, x) for r, s, _, x in rows if r == "candidate" and s < history), np.zeros_like(p))
@@ -77,11 +79,11 @@ def step_pass(candidates: DataFrame, proxy: DataFrame, model: DataFrame, vocabul
             out["phi"] = [np.bincount(bucket.ravel(), (sign * apply(gradient(p, x))).ravel(), buckets) for _, x in own]
         return pd.DataFrame(out)
 
-    def role(rows: DataFrame, name: str) -> DataFrame:
-        return rows.select("step", F.lit(name).alias("role"), F.col("slot").cast("long").alias("slot"), "doc_id", F.col("toks").cast("array<int>").alias("toks"))
+    def role(rows: DataFrame, name: str, cells) -> DataFrame:
+        return rows.select("step", F.lit(name).alias("role"), F.col("slot").cast("long").alias("slot"), "doc_id", F.col("toks").cast("array<int>").alias("toks"), cells.alias("cells"))
 
-    steps = candidates.select("step").distinct().crossJoin(F.broadcast(model))
-    head = steps.select("step", F.lit("model").alias("role"), F.lit(None).cast("long").alias("slot"), F.lit(None).cast("long").alias("doc_id"), F.lit(None).cast("array<int>").alias("toks"), "cells")
-    rows = role(candidates, "candidate").union(role(proxy.withColumn("slot", F.lit(-1)), "proxy")).withColumn("cells", F.lit(None).cast(model.schema["cells"].dataType))
+    # the model's one row rides on each step's first candidate
+    first = F.when(F.col("slot") == 0, F.col("cells"))
+    rows = role(candidates.crossJoin(F.broadcast(model)), "candidate", first).union(role(proxy.withColumn("slot", F.lit(-1)), "proxy", F.lit(None).cast(model.schema["cells"].dataType)))
     schema = "step long, doc_id long, " + ", ".join(f"{k} double" for k in SCORES) + ", phi array<double>" * bool(phi)
-    return rows.union(head).groupBy("step").applyInPandas(run, schema)
+    return rows.groupBy("step").applyInPandas(run, schema)

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions import tokens as T
 from ..operators import corpus, lm_count, lm_step
-from ..sources.tables import read
+from ..sources.tables import read, stored
 
 V, SCORE_LEN, BUFFER, RATIO, TAU, SEED, SKETCH, PROXY = 32, 512, 64, 0.5, 0.9, 42, 64, 8
 ALPHA, LR, EPS, BETA1 = 0.5, 1.0, 1e-4, 0.8
@@ -38,6 +38,11 @@ class Tables:
     def tok(self) -> DataFrame:
         return T.tokenized(self.docs, V)
 
+    @cached_property
+    def stored_tokens(self) -> DataFrame:
+        """(doc_id, split, toks): whole texts tokenised once, for passes that read them several times."""
+        return stored(self.tok.select("doc_id", corpus.split_of("doc_id", SEED).alias("split"), F.col("toks").cast("array<int>").alias("toks")), "tokens")
+
     @cached_property
     def split(self) -> DataFrame:
         return self.docs.select("doc_id", corpus.split_of("doc_id", SEED).alias("split"))
@@ -74,7 +79,8 @@ class Tables:
         order = F.md5(F.concat(F.lit(f"prx|{SEED}|"), F.col("doc_id").cast("string")))
         ranked = corpus.global_rank(pool, order, "doc_id", "rank")
         size = ranked.agg(F.count(F.lit(1)).alias("size"))
-        steps = self.buffers.agg(F.max("step").alias("last")).select(F.explode(F.sequence(F.lit(0).cast("long"), "last")).alias("step"))
+        count = self.split.filter("split = 'train'").agg(F.count(F.lit(1)).alias("n")).filter("n > 0")
+        steps = count.select(F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("n") - 1) / BUFFER).cast("long"))).alias("step"))
         slots = steps.select("step", F.explode(F.sequence(F.lit(0), F.lit(PROXY - 1))).alias("k")).crossJoin(F.broadcast(size))
         at = slots.select("step", "k", ((F.col("step") * PROXY + F.col("k")) % F.col("size") + 1).alias("rank"))
         return at.join(ranked, "rank").select("step", "k", "doc_id")
@@ -93,10 +99,11 @@ class Tables:
 
     def step_scores(self, phi: str | None = None) -> DataFrame:
         """(step, doc_id, plain, shaped, muon, sketched, plain_sketched, redundancy): all scores of candidates, in one pass, and ``phi``."""
-        prefix = T.tokenized(self.docs, V, limit=SCORE_LEN).select("doc_id", "toks")
-        own = self.buffers.join(prefix, "doc_id")
-        beside = self.proxy_batch.join(prefix.filter(corpus.split_of("doc_id", SEED) == "val"), "doc_id")
-        model = lm_step.counted(self.tok.filter(corpus.split_of("doc_id", SEED) == "train"))
+        tok = self.stored_tokens
+        prefix = tok.select("doc_id", "split", F.slice("toks", 1, SCORE_LEN).alias("toks"))
+        own = self.buffers.join(prefix.filter("split = 'train'"), "doc_id")
+        beside = self.proxy_batch.join(prefix.filter("split = 'val'"), "doc_id")
+        model = lm_step.counted(tok.filter("split = 'train'"))
         return lm_step.step_pass(own, beside, model, V, SKETCH, ALPHA, SCALE, EPS, SEED, phi=phi)
 
     @cached_property

@@ -48,6 +48,13 @@ def soft(t: Tables, scores: DataFrame, tau: float = TAU, ratio: float = RATIO) -
     return pick.pick_gumbel(scores.withColumnRenamed("score", "utility"), tau=tau, ratio=ratio, seed=SEED).select("doc_id")
 
 
+def grams_of(t: Tables) -> DataFrame:
+    """The documents' hashed grams, stored once for all methods of an experiment."""
+    if "grams" not in t.__dict__:
+        t.__dict__["grams"] = stored(B.gram_buckets(t.docs, "doc_id"), "grams")
+    return t.__dict__["grams"]
+
+
 def selections(t: Tables, names: list[str]) -> DataFrame:
     """(method, doc_id) of the named selectors."""
     labels = t.table("labels")
@@ -66,7 +73,7 @@ def selections(t: Tables, names: list[str]) -> DataFrame:
             return picked(t, "soft", shape=GEOMETRIES[name], normalise="zscore").select("doc_id")
         if name == "geometry-greedy":
             return picked(t, "greedy").select("doc_id")
-        grams = B.gram_buckets(t.docs, "doc_id")
+        grams = grams_of(t)
         if name == "importance":
             w = B.summed(grams, B.log_ratio(B.gram_buckets(t.table("benchmark"), "item_id"), grams))
             return within_budget(t, w.select("doc_id", (F.col("total") + T.gumbel(F.concat(F.lit("imp|"), F.col("doc_id").cast("string")))).alias("score")))
@@ -189,7 +196,7 @@ def w06(t: Tables) -> Rows:
     parts += [uniform.filter(F.col("score") < s).select(F.lit(f"random {s:.2f}").alias("method"), "doc_id") for s in (1 / 6, 1 / 3, 1 / 2)]
     parts.append(selections(t, ["geometry", "geometry-muon"]).join(de, "doc_id").select("method", "doc_id"))
     labels = t.table("labels")
-    rated = B.classifier(B.gram_buckets(t.docs, "doc_id"), labels.filter("quality = 1"), labels.filter("quality = 0"))
+    rated = B.classifier(grams_of(t), labels.filter("quality = 1"), labels.filter("quality = 0"))
     rows = pool_tokens(t).join(rated, "doc_id").join(de, "doc_id")
     total = rows.agg(F.coalesce(F.sum("n_words"), F.lit(0))).first()[0]
     parts += [corpus.token_budget(rows, "p", "n_words", int(total * s)).select(F.lit(f"classifier {s:.2f}").alias("method"), "doc_id") for s in (1 / 6, 1 / 3, 1 / 2)]
