@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -19,9 +20,11 @@ BATCH_ROWS = 1000
 
 
 def shared_folder(spark: SparkSession, label: str) -> str:
-    """A fresh folder under ``spark.checkpoint.dir``, which every executor sees; a local one only where that is unset."""
+    """A fresh folder under ``spark.checkpoint.dir``, which every executor sees; a local one only where all runs on one machine."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not base:
+        if re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master) is None:
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         base = f"file://{tempfile.gettempdir()}/steerselect-shared"
     return f"{base.rstrip('/')}/{label}-{uuid.uuid4().hex}"
 

@@ -455,3 +455,41 @@ def test_pipeline_stages(spark):
         counts.append(docs.count())
         assert name == "packing" or docs.columns == names
     assert counts[1] > 0.8 * counts[0] and counts[2] <= counts[1] and counts[3] <= counts[2] and counts[4] == counts[3]
+
+
+@pytest.fixture(scope="module")
+def planted(spark, tmp_path_factory):
+    """Documents with known fates, columns whose names the stages use themselves, and their labels."""
+    folder = str(tmp_path_factory.mktemp("planted"))
+    docs = [(i, text_of(i, 60) + (" you idiot moron" if i % 5 == 0 else "")) for i in range(300)]
+    base = text_of(5000, 200)
+    docs += [(1000, base), (1001, base + "  "), (1002, base.replace(" ", " x ", 1)), (1003, text_of(5001, 200) + " write to ann@b.example.com"), (1004, None), (1005, ""), (1005, ""), (None, "no id at all here"), (1006, "word " * 3000)]
+    rows = [(i, t, "en", "s", 0, 7, "h", b"k", True) for i, t in docs]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long, m long, h string, key binary, kept boolean").write.parquet(f"{folder}/documents.parquet")
+    spark.createDataFrame([(i, int(i % 5 == 0)) for i in range(300)], "doc_id long, toxic int").write.parquet(f"{folder}/labels.parquet")
+    return folder
+
+
+def test_planted_documents_meet_their_fates(spark, planted):
+    import corpus_pipeline
+
+    docs, left = spark.read.parquet(f"{planted}/documents.parquet"), {}
+    names = docs.columns
+    for name, stage in corpus_pipeline.STAGES:
+        docs = corpus_pipeline.written(stage(spark, docs, planted), name)
+        left[name] = docs
+        assert name == "packing" or docs.columns == names
+    ids = {k: collections.Counter(r.doc_id for r in v.select("doc_id").collect()) for k, v in left.items()}
+    clean = {i for i in range(300) if i % 5}
+    assert clean <= set(ids["toxicity"]) and sum(i in ids["toxicity"] for i in range(0, 300, 5)) <= 3
+    assert 1001 in ids["exact_dedup"] and 1000 not in ids["exact_dedup"] and sum(ids["exact_dedup"][i] for i in (1004, 1005)) == 1
+    assert (1001 in ids["near_dedup"]) and 1002 not in ids["near_dedup"] and clean <= set(ids["near_dedup"]) and None in ids["near_dedup"]
+    private = {r.doc_id: r.text for r in left["pii"].collect()}
+    assert "ann@b.example.com" not in private[1003] and private[1003].startswith(text_of(5001, 200)) and set(ids["pii"]) == set(ids["near_dedup"]) == set(ids["packing"])
+
+
+def test_stages_take_empty_tables(spark, planted):
+    import corpus_pipeline
+
+    empty = spark.read.parquet(f"{planted}/documents.parquet").limit(0)
+    assert all(stage(spark, empty, planted).count() == 0 for _, stage in corpus_pipeline.STAGES)
