@@ -97,14 +97,15 @@ class Tables:
         cells = lm_count.grid(self.docs, V).join(F.broadcast(g), ["x", "y"], "left")
         return cells.select("x", "y", (F.lit(SCALE) / (F.abs(F.coalesce("g", F.lit(0.0))) + F.lit(EPS))).alias("f"))
 
-    def step_scores(self, phi: str | None = None) -> DataFrame:
-        """(step, doc_id, plain, shaped, muon, sketched, plain_sketched, redundancy): all scores of candidates, in one pass, and ``phi``."""
+    def step_scores(self, phi: str | None = None, buckets: int = SKETCH, step: int | None = None) -> DataFrame:
+        """(step, doc_id, plain, shaped, muon, sketched, plain_sketched, redundancy): all scores of candidates, in one pass, and ``phi``; of one ``step`` if given."""
         tok = self.stored_tokens
         prefix = tok.select("doc_id", "split", F.slice("toks", 1, SCORE_LEN).alias("toks"))
-        own = self.buffers.join(prefix.filter("split = 'train'"), "doc_id")
-        beside = self.proxy_batch.join(prefix.filter("split = 'val'"), "doc_id")
+        wanted = F.lit(True) if step is None else F.col("step") == step
+        own = self.buffers.filter(wanted).join(prefix.filter("split = 'train'"), "doc_id")
+        beside = self.proxy_batch.filter(wanted).join(prefix.filter("split = 'val'"), "doc_id")
         model = lm_step.counted(tok.filter("split = 'train'"))
-        return lm_step.step_pass(own, beside, model, V, SKETCH, ALPHA, SCALE, EPS, SEED, phi=phi)
+        return lm_step.step_pass(own, beside, model, V, buckets, ALPHA, SCALE, EPS, SEED, phi=phi)
 
     @cached_property
     def alignment(self) -> DataFrame:

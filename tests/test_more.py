@@ -178,3 +178,33 @@ def test_more_queries_equal_sql(spark, name):
     for f in glob.glob(f"{SF}/*.parquet"):
         c.execute(f"create view {os.path.basename(f)[:-8]} as select * from '{f}'")
     assert rows(entry.queries()[name](spark, SF).toPandas()) == rows(c.execute(entry.oracle_sql()[name]).fetch_df())
+
+
+def test_one_buffer_looked_at_closely(spark):
+    from steerselect.plans.context import Tables
+    from steerselect.plans.workloads import CLOSE_K, CLOSE_N, STATIC
+
+    got = entry.queries()["w11_one_buffer"](spark, SF).toPandas()
+    t = Tables(spark, SF)
+    first = {r.doc_id for r in t.buffers.filter(f"step = 0 AND slot < {CLOSE_N}").collect()}
+    score = {m: dict(zip(x.key.astype(int), x.value)) for m, x in got[got.metric == "score"].groupby("method")}
+    place = {m: dict(zip(x.key.astype(int), x.value)) for m, x in got[got.metric == "place among the picks"].groupby("method")}
+    assert set(score) == {"high-loss", "raw-gradient", "geometry", "geometry-muon", *STATIC} and set(place) == {*score, "soft draw"}
+    assert all(set(x) <= first for x in score.values()) and set(score["random"]) == first
+    want = {r.doc_id: r for r in t.step_scores().filter("step = 0").collect()}  # the whole buffer's pass gives its part the same scores
+    for m, k in (("geometry", "shaped"), ("geometry-muon", "muon"), ("raw-gradient", "plain")):
+        assert score[m] == {d: pytest.approx(want[d][k], abs=1e-5) for d in first if d in want}
+    for m, x in place.items():
+        assert sorted(x.values()) == list(range(1, CLOSE_K + 1))
+        if m in score:
+            assert min(score[m][d] for d in x) >= max((v for d, v in score[m].items() if d not in x), default=-np.inf)
+    for r in got[got.metric == "shared"].itertuples():
+        assert r.value == len(set(place[r.method]) & set(place[r.key]))
+
+
+def test_sketch_sizes_and_timed_stages(spark):
+    got = entry.queries()["w09_sensitivity"](spark, SF).toPandas()
+    by = got[got.metric == "rank correlation"].set_index("method").value
+    assert set(by.index) == {"m=64", "m=128", "m=256"} and by["m=64"] < by["m=256"] <= 1 and len(got[got.metric == "nll"]) == 12
+    took = entry.queries()["w10_efficiency"](spark, SF).toPandas().query("block == 'wall time'")
+    assert len(took) == 5 and (took.value > 0).all()
