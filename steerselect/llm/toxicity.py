@@ -9,6 +9,7 @@ guessed from the text's own function words, and moved into the score so that it
 
 from __future__ import annotations
 
+import pickle
 import re
 import zlib
 
@@ -170,11 +171,39 @@ def in_held_out(doc_id) -> bool:
     return zlib.crc32(str(doc_id).encode()) % 5 == 0
 
 
+def fitted(table: pa.Table | None) -> TextCnn:
+    """The classifier of one table of training rows (id, y, slots, language), in whatever order they come."""
+    model = TextCnn()
+    if table is None or not table.num_rows:
+        model.bias, model.out = np.float32(-5.0), np.zeros_like(model.out)
+        return model
+    ids = table.column("id").to_pylist()
+    # the texts stay in the buffers that they came in
+    texts = [np.frombuffer(s.as_buffer(), np.int32).reshape(-1, ROWS) if s.as_buffer().size else np.zeros((0, ROWS), np.int32) for c in table.column("slots").chunks for s in c]
+    order = sorted(range(len(ids)), key=lambda i: (ids[i], len(texts[i]), texts[i][:50].tobytes()))
+    ids, texts = [ids[i] for i in order], [texts[i] for i in order]
+    y, language = (np.array(table.column(c).to_pylist(), kind)[order] for c, kind in (("y", np.float32), ("language", int)))
+    if not y.sum() or y.all():
+        model.bias, model.out = np.float32(-5.0), np.zeros_like(model.out)
+        return model
+    fits = np.array([zlib.crc32(f"fit|{i}".encode()) % 4 != 0 for i in ids])
+    if not y[fits].sum() or not y[~fits].sum():
+        fits = np.ones(len(y), bool)
+    mine = [t for t, f in zip(texts, fits) if f]
+    model.start(mine, y[fits])
+    model.fit(mine, y[fits])
+    rest = ~fits if not fits.all() else fits
+    model.calibrate([t for t, f in zip(texts, rest) if f], language[rest], y[rest])
+    model.tables = None  # workers make them again from the weights
+    return model
+
+
 def trained(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", most: int = TRAINING_ROWS) -> TextCnn:
     """A classifier fitted on labelled rows outside the held-out fifth, at most ``most`` of them.
 
     Labels are learnt from texts alone.  Three quarters of the rows fit the weights, the rest set the thresholds; without
-    rows of both labels the classifier calls nothing toxic.
+    rows of both labels the classifier calls nothing toxic.  One task of a worker fits it, so the driver holds the weights
+    alone; a task that is run again gives the same ones.  An empty table gives the classifier that calls nothing toxic.
     """
     fold = F.pmod(F.crc32(F.col(id_col).cast("string").cast("binary")), F.lit(5))
     known = labels.filter(F.col(id_col).isNotNull() & F.col(label_col).isin(0, 1) & (fold != 0)).groupBy(id_col).agg(F.max(label_col).alias("y"))
@@ -188,26 +217,9 @@ def trained(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col
             yield pa.RecordBatch.from_arrays([b.column("id"), b.column("y"), pa.array([s.tobytes() for s, _ in out], pa.binary()), pa.array([g for _, g in out], pa.int32())], names=["id", "y", "slots", "language"])
 
     kinds = {f.name: f.dataType.simpleString() for f in rows.schema}
-    table = rows.mapInArrow(run, f"id {kinds['id']}, y {kinds['y']}, slots binary, language int").toArrow().combine_chunks()
-    ids = table.column("id").to_pylist()
-    # the texts stay in the buffers that they came in
-    texts = [np.frombuffer(s.as_buffer(), np.int32).reshape(-1, ROWS) if s.as_buffer().size else np.zeros((0, ROWS), np.int32) for c in table.column("slots").chunks for s in c]
-    order = sorted(range(len(ids)), key=lambda i: (ids[i], len(texts[i]), texts[i][:50].tobytes()))
-    ids, texts = [ids[i] for i in order], [texts[i] for i in order]
-    y, language = (np.array(table.column(c).to_pylist(), kind)[order] if order else np.zeros(0, kind) for c, kind in (("y", np.float32), ("language", int)))
-    model = TextCnn()
-    if not len(y) or not y.sum() or y.all():
-        model.bias, model.out = np.float32(-5.0), np.zeros_like(model.out)
-        return model
-    fits = np.array([zlib.crc32(f"fit|{i}".encode()) % 4 != 0 for i in ids])
-    if not y[fits].sum() or not y[~fits].sum():
-        fits = np.ones(len(y), bool)
-    mine = [t for t, f in zip(texts, fits) if f]
-    model.start(mine, y[fits])
-    model.fit(mine, y[fits])
-    rest = ~fits if not fits.all() else fits
-    model.calibrate([t for t, f in zip(texts, rest) if f], language[rest], y[rest])
-    return model
+    table = rows.mapInArrow(run, f"id {kinds['id']}, y {kinds['y']}, slots binary, language int")
+    model = table.withColumn("whole", F.lit(0)).groupBy("whole").applyInArrow(lambda t: pa.table({"model": pa.array([pickle.dumps(fitted(t))], pa.binary())}), "model binary").first()
+    return pickle.loads(model["model"]) if model else fitted(None)
 
 
 def scores(docs: DataFrame, model: TextCnn, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

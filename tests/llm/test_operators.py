@@ -363,6 +363,8 @@ def test_toxicity(spark, empty):
     assert np.mean([x.predicted == (x.doc_id % 5 == 0 and x.doc_id < 1000) for x in held]) > 0.95
     slots, _ = toxicity.features(docs[0][1])
     assert m.logit(slots) == pytest.approx(float(m.pooled(slots)[0] @ m.out + m.bias), abs=1e-4)
+    again = toxicity.trained(d.orderBy(F.desc("doc_id")).repartition(5), labels)  # dealt otherwise, the same weights
+    assert all((a == b).all() for a, b in zip((m.embedding, m.out, m.shift, *m.filters), (again.embedding, again.out, again.shift, *again.filters)))
     none = toxicity.trained(empty, labels.limit(0))
     assert toxicity.scores(empty, none).count() == 0 and toxicity.keep_clean(d, m).count() < 402
     assert r is not None
