@@ -39,3 +39,23 @@ def test_naive_scores_send_tokens_only(spark):
     plan = entry.queries()["base_naive"](spark, SF)._jdf.queryExecution().analyzed().toString()
     top = plan.split("FlatMapGroupsInPandas")
     assert len(top) == 2 and "Aggregate" not in top[0] and "Join" not in top[0]
+
+
+READS = {"compression": "documents", "flop_model": "documents", "lr_schedule": "documents", "muon_lr": "documents", "muon_momentum": "documents", "opt_assign": "embeddings"}
+
+
+@pytest.mark.parametrize("name", READS)
+def test_laws_read_their_table(spark, name):
+    """These made their data up; now a larger table gives more rows."""
+    assert any(READS[name] in f for f in entry.queries()[name](spark, SF).inputFiles())
+    small, large = (against_sql(spark, name, [READS[name]], sf) for sf in (SF, "/root/testdata/sf0.01"))
+    assert len(large) > len(small) or name == "opt_assign"
+    if name == "opt_assign":
+        assert set(small.optimizer) == {"muon", "adamw"} and set(small.optimizer[small.layer.isin([0, 9])]) == {"adamw"}
+
+
+def test_matrices_alone_get_muon(spark, tmp_path):
+    data = [(1, [1.0, 2.0], 3), (2, [1.0, 2.0], 3), (3, [1.0, 2.0], 4), (4, [1.0], 5), (5, [1.0], 5), (6, [1.0, 2.0], 0), (7, [1.0, 2.0], 0), (8, None, None)]
+    spark.createDataFrame(data, "vec_id long, embedding array<float>, label int").write.parquet(f"{tmp_path}/embeddings.parquet")
+    got = {r.vec_id: r.optimizer for r in entry.queries()["opt_assign"](spark, str(tmp_path)).collect()}
+    assert got == {d[0]: "muon" if d[2] == 3 else "adamw" for d in data}
