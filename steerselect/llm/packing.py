@@ -17,7 +17,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import IdTable, gather, sections, slices, text_or_empty, texts, written
+from .common import IdTable, begin, gather, sections, slices, text_or_empty, texts, written
 
 WINDOW = 2048
 END_ID = 1
@@ -131,6 +131,7 @@ def pieces(docs: DataFrame, tokenizer_file: str, id_col: str = "doc_id", text_co
     """(id, start, length, ids_crc32, doc_tokens) for each cut of each document; the text is read once and never shuffled."""
 
     def run(batches):
+        begin("packing", encoder.cache_clear)
         enc = encoder(tokenizer_file)
         for b in slices(batches, most_bytes=4 << 20):
             ids, starts, lengths, crcs, totals = [], [], [], [], []

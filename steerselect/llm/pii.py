@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import slices, text_or_empty, texts, written
+from .common import begin, slices, text_or_empty, texts, written
 
 #: Exceptions up to this number are broadcast; more are joined to their documents.
 BROADCAST_ROWS = 100_000
@@ -254,6 +254,7 @@ def replaced(text: str, key: bytes, attempts: dict[tuple[str, str], int]) -> tup
 
 def distinct_entities(docs: DataFrame, text_col: str) -> DataFrame:
     def run(batches):
+        begin("pii")
         for b in slices(batches):
             seen = {x for t in b.column("text") for _, _, kind, canon in entities(t.as_py()) for x in names_of(kind, canon)}
             if seen:
@@ -305,6 +306,7 @@ def replace_entities(docs: DataFrame, key: bytes = b"a secret that the caller ho
     log_type = pa.list_(pa.struct([("kind", pa.string()), ("found", pa.string()), ("surrogate", pa.string())]))
 
     def run(batches):
+        begin("pii")
         for b in slices(batches, text_col):
             own = b.column(extra).to_pylist() if small is None else None
             texts, logs = [], []

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import fresh, slices, text_or_empty, texts, written
+from .common import begin, fresh, slices, text_or_empty, texts, written
 from .components import components
 from .simhash import majority, near_pairs, shingle_hashes
 
@@ -45,6 +45,7 @@ def prints(docs: DataFrame, id_col: str, text_col: str, size: int) -> DataFrame:
     """(id, fp, n, set): the SimHash of the distinct shingles of each text, their number, and their hashes in order."""
 
     def run(batches):
+        begin("similar")
         for b in slices(batches, most_bytes=4 << 20):
             sets = [np.unique(np.concatenate([np.zeros(0, np.uint64), *shingle_hashes(t.as_py(), size)])) for t in b.column("text")]
             fps = np.array([majority([s]) for s in sets], np.uint64).view(np.int64)
@@ -62,6 +63,7 @@ def sparse_prefixes(docs: DataFrame, id_col: str, text_col: str, size: int, simi
     """
 
     def run(batches):
+        begin("similar")
         for b in slices(batches):
             needs, keys = [], []
             for t in b.column("text"):
@@ -216,6 +218,7 @@ def compare(rows: DataFrame, radius: int, similarity: float, dense: int) -> Data
             yield pa.RecordBatch.from_arrays([ids.take(pa.array(u)), ids.take(pa.array(v))], names=["a", "b"])
 
     def run(batches):
+        begin("similar")
         now, held = None, []
         for b in batches:
             if not b.num_rows:

@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import pickle
 import re
+import struct
 import zlib
 
 import numpy as np
@@ -19,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BoundedCache, slices, text_or_empty, texts
+from .common import BoundedCache, begin, slices, text_or_empty, texts
 
 #: At most so many labelled rows are used to fit, those of the least hash; the bound is part of the method.
 TRAINING_ROWS = 8_000
@@ -38,18 +39,24 @@ LANGUAGES = (*FUNCTION_WORDS, "other")
 _votes = {w: [i for i, ws in enumerate(FUNCTION_WORDS.values()) if w in ws] for ws in FUNCTION_WORDS.values() for w in ws}
 
 
-def _slots(word: str) -> tuple[int, ...]:
+def _slots(word: str) -> bytes:
+    """The word's table rows, as 32-bit integers in a row: much smaller than a tuple."""
     h, five, seven = (xxhash.xxh64_intdigest(word[:n], 3) for n in (64, 5, 7))
-    return h % TABLE, TABLE + (h >> 32) % TABLE, 2 * TABLE + five % TABLE, 3 * TABLE + seven % TABLE
+    return struct.pack("=4i", h % TABLE, TABLE + (h >> 32) % TABLE, 2 * TABLE + five % TABLE, 3 * TABLE + seven % TABLE)
 
 
 _cache = BoundedCache(_slots, 300_000)
 
 
+def forget() -> None:
+    """Empties the cache of this process; a task's own function would carry a copy of ``_cache`` with it."""
+    _cache.forget()
+
+
 def features(text: str) -> tuple[np.ndarray, int]:
     """(ROWS table rows per word, language guess) of a whole text."""
     words = WORD.findall(text.lower())
-    slots = np.array([_cache[w] for w in words], np.int32).reshape(-1, ROWS)
+    slots = np.frombuffer(b"".join([_cache[w] for w in words]), np.int32).reshape(-1, ROWS)
     _cache.trim()
     counts = [0] * len(FUNCTION_WORDS)
     for w in words:
@@ -212,13 +219,19 @@ def trained(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col
     rows = docs.select(F.col(id_col), text_or_empty(text_col).alias("text")).join(F.broadcast(known), id_col).select(F.col(id_col).alias("id"), "y", "text")
 
     def run(batches):
+        begin("toxicity", forget)
         for b in slices(batches):
             out = [features(t.as_py()) for t in b.column("text")]
             yield pa.RecordBatch.from_arrays([b.column("id"), b.column("y"), pa.array([s.tobytes() for s, _ in out], pa.binary()), pa.array([g for _, g in out], pa.int32())], names=["id", "y", "slots", "language"])
 
     kinds = {f.name: f.dataType.simpleString() for f in rows.schema}
     table = rows.mapInArrow(run, f"id {kinds['id']}, y {kinds['y']}, slots binary, language int")
-    model = table.withColumn("whole", F.lit(0)).groupBy("whole").applyInArrow(lambda t: pa.table({"model": pa.array([pickle.dumps(fitted(t))], pa.binary())}), "model binary").first()
+
+    def fit(t):
+        begin("toxicity", forget)
+        return pa.table({"model": pa.array([pickle.dumps(fitted(t))], pa.binary())})
+
+    model = table.withColumn("whole", F.lit(0)).groupBy("whole").applyInArrow(fit, "model binary").first()
     return pickle.loads(model["model"]) if model else fitted(None)
 
 
@@ -230,6 +243,7 @@ def scores(docs: DataFrame, model: TextCnn, id_col: str = "doc_id", text_col: st
     shared = docs.sparkSession.sparkContext.broadcast(model)  # of a fixed size, a few MB
 
     def run(batches):
+        begin("toxicity", forget)
         m = shared.value
         for b in slices(batches):
             yield pa.RecordBatch.from_arrays([b.column("id"), pa.array([m.score(t.as_py()) for t in b.column("text")], pa.float64())], names=["id", "score"])
@@ -245,6 +259,7 @@ def keep_clean(docs: DataFrame, model: TextCnn, text_col: str = "text") -> DataF
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
+        begin("toxicity", forget)
         m = shared.value
         for b in slices(batches, text_col):
             yield b.filter(pa.array([m.score(t.as_py() or "") < 0.5 for t in b.column(text_col)], pa.bool_()))
