@@ -70,3 +70,14 @@ def test_loop_equals_plain_numpy_with_one_job_a_step(spark, monkeypatch):
     assert [p["utility"] for p in picks] == pytest.approx([x[3] for x in want], rel=1e-6)
     assert all(np.allclose(theta[k], weights[k]) for k in theta) and [x["step"] for x in log] == [0, 1, 2, 4]
     assert len(jobs) == 6  # one for each step, and one for the first step's proxy gradient
+
+
+def test_timed_stages_read_the_same_stored_tokens(spark, monkeypatch):
+    """w10_efficiency stores tokens once: the naive stage does not make its own, within its time and on disk."""
+    import __spark_entry__ as entry
+    from steerselect.plans import context
+
+    labels, stored = [], context.stored
+    monkeypatch.setattr(context, "stored", lambda df, label: labels.append(label) or stored(df, label))
+    got = entry.queries()["w10_efficiency"](spark, "/root/testdata/sf0.001").toPandas()
+    assert labels.count("tokens") == 1 and len(got[got.block == "wall time"]) == 5
