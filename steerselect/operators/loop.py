@@ -49,10 +49,11 @@ CHUNK = 64
 #: Tasks of a step, at most.
 MOST_PARTS = 32
 
+#: Hash tables of a worker, by layer and shape.
 _tables: dict = {}
 
 
-def features(grads: dict[str, np.ndarray], geo: dict[str, Geometry], cfg: Config, cache: dict, apply: bool) -> np.ndarray:
+def features(grads: dict[str, np.ndarray], geo: dict[str, Geometry], cfg: Config, apply: bool) -> np.ndarray:
     """The concatenated sketches of a sequence's layer gradients, mapped by the geometry if ``apply``."""
     out = []
     for n, (name, g) in enumerate(sorted(grads.items())):
@@ -61,9 +62,9 @@ def features(grads: dict[str, np.ndarray], geo: dict[str, Geometry], cfg: Config
             out.append(g.ravel())
             continue
         key = (name, g.shape, cfg.sketch_dim, cfg.seed)
-        if key not in cache:
-            cache[key] = tables(g.shape, cfg.sketch_dim, cfg.seed, n)
-        out.append(sketch(g, cache[key], cfg.sketch_dim))
+        if key not in _tables:
+            _tables[key] = tables(g.shape, cfg.sketch_dim, cfg.seed, n)
+        out.append(sketch(g, _tables[key], cfg.sketch_dim))
     return np.concatenate(out)
 
 
@@ -148,7 +149,7 @@ def score_pass(rows: Dealt, step: int, theta: dict, geo: dict, cfg: Config) -> S
         for proxy, doc, toks in held:
             loss, grads = lm_block.by_token(theta, toks[: cfg.score_len])
             codes, counts = np.unique(toks[:-1] * v + toks[1:], return_counts=True)
-            out.append((proxy, doc, loss, features(grads, geo, cfg, _tables, not proxy), len(codes), codes.astype(np.int32), counts.astype(np.int32)))
+            out.append((proxy, doc, loss, features(grads, geo, cfg, not proxy), len(codes), codes.astype(np.int32), counts.astype(np.int32)))
         proxy, doc, nll, phi, cells, codes, counts = zip(*out)
         return np.array(proxy), np.array(doc, np.int64), np.array(nll), np.stack(phi), np.array(cells), np.concatenate(codes), np.concatenate(counts)
 
